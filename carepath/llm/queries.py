@@ -7,25 +7,47 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from carepath.llm import mixing, quality
+from carepath.llm import mixing, quality, secrets, tokens, toxicity
 from carepath.llm._shared import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secrets.scan(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans")
+
+
 def op5_rule_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     book = quality.apply_policy(quality.ledger(table(spark, sf_dir, "documents")), "3")
     base_failed = quality.fails(quality.POLICIES["base"])
     return book.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base_failed.alias("base_failed"), (F.col("kept") & ~base_failed).alias("kept"), "failures")
 
 
+def op6_toxicity_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
+    cut = toxicity.threshold_for(F.col("lang"), model)
+    return toxicity.scored(docs, model, ("doc_id", "lang")).select(
+        "doc_id", (toxicity.remainder(F.col("doc_id")) == 2).alias("held_out"), "score",
+        (F.col("score") >= 0.3).cast("int").alias("predicted"), (F.col("score") >= cut).cast("int").alias("predicted_by_lang"),
+    )
+
+
 def op7_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     mix = mixing.mixed(table(spark, sf_dir, "documents"))
     return mix.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
 
 
+def op9_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    found = tokens.counted(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    return found.withColumn("over_limit", F.col("n_tokens") > 2048)
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op5_rule_ledger, op7_pareto_mix)}
+    return {f.__name__: f for f in (op1_secret_scan, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op9_fst_token_counts)}
 
 
 def oracle_sql() -> dict[str, str]:
