@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from carepath.llm import mixing, quality, secrets, tokens, toxicity
+from carepath.llm import mixing, ngram_join, quality, secrets, tokens, toxicity
 from carepath.llm._shared import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -39,6 +39,11 @@ def op7_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
 
 
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    spec = ngram_join.JoinSpec(shingle=3, percent=90)
+    return ngram_join.joined(table(spark, sf_dir, "documents"), spec).select("doc_id", "n_shingles", "component_id")
+
+
 def op9_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -47,7 +52,7 @@ def op9_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_secret_scan, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op9_fst_token_counts)}
+    return {f.__name__: f for f in (op1_secret_scan, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op8_jaccard_join, op9_fst_token_counts)}
 
 
 def oracle_sql() -> dict[str, str]:
