@@ -1,6 +1,15 @@
 """DuckDB SQL for the queries that SQL can express; written from the definitions, not from the operators."""
 
 ORACLES = {
+    "op2_warc_shards": """
+WITH p AS (
+  SELECT page_id, CAST(strlen(coalesce(html, '')) AS BIGINT) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages
+),
+f AS (SELECT payload_digest, min(page_id) AS first_id FROM p WHERE payload_bytes >= 100 GROUP BY payload_digest)
+SELECT page_id, payload_bytes, payload_digest,
+  CASE WHEN first_id <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
+  CASE WHEN first_id <> page_id THEN first_id END AS refers_to
+FROM p LEFT JOIN f USING (payload_digest)""",
     "op5_rule_ledger": r"""
 WITH t AS (SELECT doc_id, row_number() OVER () AS k, coalesce(text, '') AS text FROM documents),
 w AS (SELECT doc_id, k, text, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS words FROM t),

@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from carepath.llm import mixing, ngram_join, quality, secrets, tokens, toxicity
-from carepath.llm._shared import table
+from carepath.llm import mixing, ngram_join, quality, secrets, tiling, tokens, toxicity, warc
+from carepath.llm._shared import scratch_path, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -18,6 +18,12 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans")
 
 
+def op2_warc_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = scratch_path(spark, "warc")
+    warc.write(table(spark, sf_dir, "pages"), folder)
+    return warc.read(spark, folder).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op5_rule_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     book = quality.apply_policy(quality.ledger(table(spark, sf_dir, "documents")), "3")
     base_failed = quality.fails(quality.POLICIES["base"])
@@ -51,8 +57,12 @@ def op9_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumn("over_limit", F.col("n_tokens") > 2048)
 
 
+def op10_greedy_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tiling.tiled(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_secret_scan, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op8_jaccard_join, op9_fst_token_counts)}
+    return {f.__name__: f for f in (op1_secret_scan, op2_warc_shards, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op8_jaccard_join, op9_fst_token_counts, op10_greedy_tiling)}
 
 
 def oracle_sql() -> dict[str, str]:
