@@ -37,6 +37,8 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_path(spark, tag)
     df.write.parquet(path)
+    # The shuffle files behind a finished table are dropped once the driver's collector has seen that nobody needs them.
+    spark._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 
