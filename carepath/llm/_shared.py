@@ -58,5 +58,16 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(text, SPACE), "")
 
 
+def carried(docs: DataFrame, keep: tuple[str, ...], **more: Column) -> DataFrame:
+    """``keep`` as one struct beside further columns, so that no name of theirs can clash with one of an operator's."""
+    return docs.select(F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_k"), *(c.alias(n) for n, c in more.items()))
+
+
+def restored(df: DataFrame, keep: tuple[str, ...], outputs: list[str]) -> DataFrame:
+    """The carried columns again, then ``outputs``; a carried one that has an output's name gets the suffix _in."""
+    taken = {c.lower() for c in outputs}
+    return df.select(*(F.col(f"_k.`{c}`").alias(f"{c}_in" if c.lower() in taken else c) for c in keep), *outputs)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

@@ -17,14 +17,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from carepath.llm._shared import text_of, words_of, written
+from carepath.llm._shared import carried, restored, text_of, words_of, written
 
 #: Rank bins; a bin of the largest source holds about a 16,384th of it.
 BINS = 16384
 
 
 def sized(docs: DataFrame, keep: tuple[str, ...] = ("doc_id", "source")) -> DataFrame:
-    return docs.select(*keep, F.size(words_of(text_of())).cast("long").alias("size"), F.xxhash64(text_of()).alias("_text_hash"))
+    size = F.size(words_of(text_of())).cast("long")
+    return carried(docs, keep, doc_id=F.col("doc_id"), source=F.col("source"), size=size, _text_hash=F.xxhash64(text_of()))
 
 
 def targets(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, most: float = 2.0) -> DataFrame:
@@ -66,7 +67,7 @@ def uniform(key: Column, seed: int) -> Column:
 def mixed(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17, keep: tuple[str, ...] = ("doc_id", "source")) -> DataFrame:
     """``keep`` with size, source_size, target, copies and taken for every document.
 
-    ``keep`` must hold doc_id and source. The words taken from a source differ from its target by no more than half the
+    The words taken from a source differ from its target by no more than half the
     document that straddles it.
     """
     sizes = written(sized(docs, keep), "mix-sizes")
@@ -91,7 +92,7 @@ def mixed(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float
     other = other.withColumn("_more", F.coalesce((F.col("_bin") < F.col("edge")).cast("int"), F.when(F.col("edge").isNull() & F.col("_q").isNotNull(), 1), F.lit(0)))
     out = last.unionByName(other)
     copies = (F.col("whole") + F.col("_more")).cast("long")
-    return out.select(*keep, "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    return restored(out.withColumns({"copies": copies, "taken": copies * F.col("size")}), keep, ["size", "source_size", "target", "copies", "taken"])
 
 
 #: Sources up to this many are broadcast; beyond, the same join shuffles.

@@ -16,7 +16,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from carepath.llm._shared import SPACE_CHARS, text_of, words_of
+from carepath.llm._shared import SPACE_CHARS, carried, restored, text_of, words_of
 
 #: Fixed values of the rules, in words and per cent.
 WINDOW = 8
@@ -62,17 +62,17 @@ POLICIES = {p.version: p for p in (Policy("base", BASE), Policy("2", (*BASE, "re
 
 def measured(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """``keep`` and the measurements: n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words."""
-    plain = docs.select(*keep, text_of(text).alias("_t"))
+    plain = carried(docs, keep, _t=text_of(text))
     lines = F.filter(F.split("_t", "\n"), lambda x: F.length(F.translate(x, SPACE_CHARS, "")) > 0)
     split = plain.select(
-        *keep,
+        "_k",
         words_of(F.col("_t")).alias("_w"),
         F.length(F.translate("_t", SPACE_CHARS, "")).cast("long").alias("word_chars"),
         (F.length("_t") - F.length(F.translate("_t", SYMBOLS, ""))).cast("long").alias("n_symbols"),
         lines.alias("_l"),
     )
     counted = split.select(
-        *keep, "word_chars", "n_symbols",
+        "_k", "word_chars", "n_symbols",
         F.size("_w").cast("long").alias("n_words"),
         F.size("_l").cast("long").alias("n_lines"),
         (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"),
@@ -86,7 +86,8 @@ def measured(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "
     near = lambda x, j: F.coalesce(F.get("_g", j)["h"] == x["h"], F.lit(False))
     at = ordered.withColumn("_g", F.sort_array(F.transform(F.filter("_g", lambda x, i: near(x, i + 1) | near(x, i - 1)), lambda x: x["i"])))
     fresh = F.transform("_g", lambda p, i: F.least(F.lit(WINDOW), F.coalesce(F.get("_g", i + 1), p + WINDOW) - p))
-    return at.withColumn("n_repeat_words", F.coalesce(F.aggregate(fresh, F.lit(0), lambda a, x: a + x), F.lit(0)).cast("long")).drop("_g")
+    done = at.withColumn("n_repeat_words", F.coalesce(F.aggregate(fresh, F.lit(0), lambda a, x: a + x), F.lit(0)).cast("long"))
+    return restored(done, keep, ["word_chars", "n_symbols", "n_words", "n_lines", "n_dup_lines", "n_repeat_words"])
 
 
 def ledger(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:

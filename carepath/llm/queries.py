@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from carepath.llm import mixing, ngram_join, quality, secrets, suffixes, tiling, tokens, toxicity, warc
+from carepath.llm import chaining, mixing, ngram_join, quality, secrets, suffixes, tiling, tokens, toxicity, warc
 from carepath.llm._shared import scratch_path, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -24,6 +24,10 @@ def op2_warc_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read(spark, folder).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op3_fuzzy_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chaining.repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op4_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.deduplicated(table(spark, sf_dir, "documents"))
 
@@ -65,8 +69,14 @@ def op10_greedy_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tiling.tiled(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_secret_scan, op2_warc_shards, op4_suffix_repeats, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op8_jaccard_join, op9_fst_token_counts, op10_greedy_tiling)}
+    return {f.__name__: f for f in (op1_secret_scan, op2_warc_shards, op3_fuzzy_passages, op4_suffix_repeats, op5_rule_ledger, op6_toxicity_cnn, op7_pareto_mix, op8_jaccard_join, op9_fst_token_counts, op10_greedy_tiling, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:

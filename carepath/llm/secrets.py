@@ -30,6 +30,7 @@ from re import _constants as op
 from re import _parser
 
 from carepath.llm._blocks import _LOWER, Block, blocks
+from carepath.llm._shared import carried, restored
 
 ALL = ("all",)
 
@@ -223,20 +224,20 @@ def _joined(spans: list[tuple[int, int, int]], rules: tuple[Rule, ...]) -> str:
 
 def scan(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text", rules: tuple[Rule, ...] = RULES, base: int = 3) -> DataFrame:
     """``keep`` and, per row: n_<kind> for each rule, base_spans (of the first ``base`` rules) and spans, as kind:start:end."""
-    source = docs.select(*keep, F.col(text).alias("_text"))
+    source = carried(docs, keep, _text=F.col(text))
     kinds = [f"n_{r.kind}" for r in rules]
-    schema = T.StructType([*source.drop("_text").schema.fields, *(T.StructField(k, T.LongType()) for k in kinds), T.StructField("base_spans", T.StringType()), T.StructField("spans", T.StringType())])
+    schema = T.StructType([source.schema["_k"], *(T.StructField(k, T.LongType()) for k in kinds), T.StructField("base_spans", T.StringType()), T.StructField("spans", T.StringType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index, expressions = Index(rules), [re.compile(r.pattern) for r in rules]
         for batch in batches:
-            found = [row for block in blocks(batch.column(len(keep))) for row in _find(block, index, rules, expressions)]
+            found = [row for block in blocks(batch.column(1)) for row in _find(block, index, rules, expressions)]
             counts = [pa.array([sum(x[1] == k for x in row) for row in found], pa.int64()) for k in range(len(rules))]
             some = pa.array([_joined([x for x in row if x[1] < base], rules) for row in found], pa.string())
             every = pa.array([_joined(row, rules) for row in found], pa.string())
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), *counts, some, every], names=schema.names)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *counts, some, every], names=schema.names)
 
-    return source.mapInArrow(run, schema)
+    return restored(source.mapInArrow(run, schema), keep, schema.names[1:])
 
 
 def digest(joined: str) -> str:

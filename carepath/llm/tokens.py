@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from carepath.llm._blocks import _ODD, _inverses, _powers, _spread, blocks
+from carepath.llm._shared import carried, restored
 
 #: Character classes; letters that can stand in a contraction have their own.
 SPACE, SYMBOL, DIGIT, QUOTE, LETTER, ONE, E_, RV, L_ = range(9)
@@ -190,17 +191,17 @@ class Counter:
 
 def counted(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """``keep`` with n_bytes (UTF-8) and n_tokens. ``path``: the tokenizer file, at the same place on every executor."""
-    source = docs.select(*keep, F.col(text).alias("_text"))
-    schema = T.StructType([*source.drop("_text").schema.fields, T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType())])
+    source = carried(docs, keep, _text=F.col(text))
+    schema = T.StructType([source.schema["_k"], T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         machine = Counter(path)
         for batch in batches:
             sizes, tokens = [], []
-            for block in blocks(batch.column(len(keep)), 1 << 20):
+            for block in blocks(batch.column(1), 1 << 20):
                 sizes.append(np.diff(block.offsets))
                 tokens.append(machine.count([block.text(i) for i in range(block.n)]))
             join = lambda parts: pa.array(np.concatenate(parts) if parts else np.zeros(0, np.int64), pa.int64())
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), join(sizes), join(tokens)], names=schema.names)
+            yield pa.RecordBatch.from_arrays([batch.column(0), join(sizes), join(tokens)], names=schema.names)
 
-    return source.mapInArrow(run, schema)
+    return restored(source.mapInArrow(run, schema), keep, ["n_bytes", "n_tokens"])
