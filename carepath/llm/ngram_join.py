@@ -6,9 +6,10 @@ can't all miss), in order of set size, so that only a band of sizes can meet. Wi
 bound the overlap from above; pairs that pass the bound are decided by intersecting the exact sorted arrays.
 
 Components need fewer pairs than the join has. In a tile each set first meets the leaders, which passed no bound with
-an earlier leader, and asks for one exact check. Where such a check was asked, a second look takes every pair of the tile
-that still lies in two components. What the bound rules out in the first look is final, so no link between components
-is lost and groups of thousands of near copies cost a check each. Tiles with more than ``CROWDED`` sets are parted by a
+an earlier leader, and asks for one exact check, of the likeliest. Where such a check was asked, a second look takes the pairs
+of the tile that still lie in two components: first the likeliest few of a set with each other component, then, where that left
+some out, all. What the bound rules out is final, so no link between components is lost, and groups of thousands of near
+copies cost a few checks each. Tiles with more than ``CROWDED`` sets are parted by a
 second shared shingle of prefixes one longer, which all pairs above the threshold have.
 
 Defined cases: a null or empty text, or one without words, has the empty set and is linked with nothing; texts of fewer
@@ -31,6 +32,10 @@ from carepath.llm._blocks import _ODD, Block, _spread, blocks, grams, words
 from carepath.llm._shared import written
 
 CROWDED = 4096
+#: Bits of a signature at least: short sets differ in few elements, which then seldom share a bit.
+LEAST_BITS = 512
+#: In its first second look, a tile asks for this many checks of a set with each other component; then for all.
+FIRST_CHECKS = 2
 #: Ids whose sets are wanted are broadcast up to this many, and joined beyond.
 BROADCAST_IDS = 1_000_000
 
@@ -66,11 +71,11 @@ def shingle_sets(block: Block, spec: JoinSpec) -> tuple[np.ndarray, np.ndarray]:
 
 
 def bits_for(n: int) -> int:
-    return max(64, 1 << (int(n) - 1).bit_length())
+    return max(LEAST_BITS, 1 << (2 * int(n) - 1).bit_length())
 
 
 def signature(keys: np.ndarray) -> np.ndarray:
-    """A bitmap of as many bits as a power of two at least the set's size; halves can be folded onto each other."""
+    """A bitmap of a power of two of bits, twice the set's size or more; halves can be folded onto each other."""
     bits = bits_for(len(keys))
     at = (keys >> np.uint64(20)) & np.uint64(bits - 1)
     out = np.zeros(bits, bool)
@@ -82,12 +87,11 @@ def fold(sig: np.ndarray) -> np.ndarray:
     return sig[..., : sig.shape[-1] // 2] | sig[..., sig.shape[-1] // 2 :]
 
 
-def passes(n: int, sig: np.ndarray, others_n: np.ndarray, others: np.ndarray, percent: int) -> np.ndarray:
-    """Whether the bound lets the pair be above the threshold. A bit that only one has is an element the other lacks."""
+def bound(n: int, sig: np.ndarray, others_n: np.ndarray, others: np.ndarray) -> np.ndarray:
+    """The most elements that the sets can share. A bit that only one has is an element the other lacks."""
     mine = n - np.bitwise_count(sig & ~others).sum(axis=1, dtype=np.int64)
     theirs = others_n - np.bitwise_count(others & ~sig).sum(axis=1, dtype=np.int64)
-    most = np.minimum(mine, theirs)
-    return 100 * most >= percent * (n + others_n - most)
+    return np.minimum(mine, theirs)
 
 
 class Tile:
@@ -103,20 +107,24 @@ class Tile:
             self.place[own] = np.arange(own.sum())
 
     def meets(self, i: int, earlier: np.ndarray) -> np.ndarray:
-        """Those of ``earlier`` (ascending, before i) that pass with i."""
+        """Those of ``earlier`` (ascending, before i) that the bound lets pass with i, the likeliest first."""
         earlier = earlier[np.searchsorted(self.n[earlier], -(-self.n[i] * self.percent // 100)) :]
-        found = []
+        found, shares = [], []
         k = int(self.length[i])
         sig = self.matrix[k][self.place[i]]
         while len(earlier):
             same = earlier[self.length[earlier] == k]
             if len(same):
-                found.append(same[passes(int(self.n[i]), sig, self.n[same], self.matrix[k][self.place[same]], self.percent)])
+                most = bound(int(self.n[i]), sig, self.n[same], self.matrix[k][self.place[same]])
+                union = self.n[i] + self.n[same] - most
+                ok = 100 * most >= self.percent * union
+                found.append(same[ok])
+                shares.append(most[ok] / union[ok])
             earlier = earlier[self.length[earlier] < k]
             if not len(earlier):
                 break
             k, sig = k // 2, fold(sig)
-        return np.concatenate(found) if found else np.zeros(0, np.int64)
+        return np.concatenate(found)[np.argsort(-np.concatenate(shares), kind="stable")] if found else np.zeros(0, np.int64)
 
     def stars(self) -> Iterator[tuple[int, int]]:
         leaders = np.zeros(len(self.n), np.int64)
@@ -124,15 +132,22 @@ class Tile:
         for i in range(len(self.n)):
             met = self.meets(i, leaders[:many])
             if len(met):
-                yield int(met[-1]), i
+                yield int(met[0]), i
             else:
                 leaders[many] = i
                 many += 1
 
-    def between(self, component: np.ndarray) -> Iterator[tuple[int, int]]:
+    def between(self, component: np.ndarray, most: int | None) -> Iterator[tuple[int, int]]:
+        """Pairs in two components, up to ``most`` of a set with each other component; (-1, i) tells that some were left out."""
         for i in range(1, len(self.n)):
+            seen: dict[int, int] = {}
             for j in self.meets(i, np.flatnonzero(component[:i] != component[i])):
-                yield int(j), i
+                c = int(component[j])
+                seen[c] = seen.get(c, 0) + 1
+                if most is None or seen[c] <= most:
+                    yield int(j), i
+                elif seen[c] == most + 1:
+                    yield -1, i
 
 
 def _sets(docs: DataFrame, spec: JoinSpec) -> DataFrame:
@@ -208,8 +223,8 @@ def _shared(tiles: DataFrame, percent: int) -> DataFrame:
     return tiles.repartition("h").sortWithinPartitions("h", "n", "rid").mapInArrow(run, "h long, rid long, n long, count long")
 
 
-def _pairs(tiles: DataFrame, percent: int, between: bool) -> DataFrame:
-    """(h, a, b) to be checked exactly, from rows (h, rid, n, sig, component)."""
+def _pairs(tiles: DataFrame, percent: int, between: bool, most: int | None = None) -> DataFrame:
+    """(h, a, b) to be checked exactly, from rows (h, rid, n, sig, component); a is null where pairs were left out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: list[tuple[int, int, int]] = []
@@ -223,7 +238,7 @@ def _pairs(tiles: DataFrame, percent: int, between: bool) -> DataFrame:
                 continue
             t = Tile(n, tile.column("sig").to_pylist(), percent)
             h = tile.column("h")[0].as_py()
-            found += [(h, int(rid[i]), int(rid[j])) for i, j in (t.between(component) if between else t.stars())]
+            found += [(h, int(rid[i]) if i >= 0 else None, int(rid[j])) for i, j in (t.between(component, most) if between else t.stars())]
             if len(found) > 50_000:
                 yield out()
                 found.clear()
@@ -281,12 +296,17 @@ def joined(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
     asked = written(_pairs(rows, spec.percent, False), "join-stars")
     links = written(_verified(asked.select("a", "b").distinct(), docs, spec), "join-links")
     groups = _graph.components(links)
-    again = rows.drop("component").join(asked.select("h").distinct(), "h", "left_semi")
-    again = again.join(groups, F.col("rid") == F.col("node"), "left").select("h", "rid", "n", "sig", F.coalesce("component", "rid").alias("component"))
-    rest = written(_pairs(again, spec.percent, True).select("a", "b").distinct().join(asked.select("a", "b"), ["a", "b"], "left_anti"), "join-rest")
-    more = written(_verified(rest, docs, spec), "join-links")
-    if not more.isEmpty():
-        groups = _graph.components(links.unionByName(more))
+    tried, looked_at = asked.select("a", "b"), rows.drop("component").join(asked.select("h").distinct(), "h", "left_semi")
+    for most in (FIRST_CHECKS, None):
+        again = looked_at.join(groups, F.col("rid") == F.col("node"), "left").select("h", "rid", "n", "sig", F.coalesce("component", "rid").alias("component"))
+        found = written(_pairs(again, spec.percent, True, most).select("a", "b").distinct(), "join-found")
+        rest = written(found.filter("a IS NOT NULL").join(tried, ["a", "b"], "left_anti"), "join-rest")
+        if not rest.isEmpty():
+            links = links.unionByName(written(_verified(rest, docs, spec), "join-links"))
+            groups = _graph.components(links)
+            tried = tried.unionByName(rest)
+        if found.filter("a IS NULL").isEmpty():
+            break
     of_class = classes.select(*key, "rid").join(groups, F.col("rid") == F.col("node"), "left").select(*key, F.col("rid").alias("class_id"), F.coalesce("component", "rid").alias("component_id"))
     out = sets.select("doc_id", *key).join(of_class, key, "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("component_id", "doc_id").alias("component_id"))
