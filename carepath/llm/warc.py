@@ -36,6 +36,7 @@ from pyspark.sql import functions as F
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 END = b"\r\n\r\n"
 NAMES = uuid.UUID("6f0a8a4c-7a0c-5d1e-9a57-2f6d1c0b9e31")
+PIECE = 1 << 13
 _EMPTY = gzip.compress(b"", mtime=0)
 
 
@@ -84,10 +85,18 @@ def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int
 
 def records(content: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
     """Headers and payload of each record of a file; digests are checked."""
-    while content:
-        unpack = zlib.decompressobj(31)
-        plain = unpack.decompress(content) + unpack.flush()
-        content = unpack.unused_data
+    at, view = 0, memoryview(content)
+    while at < len(content):
+        unpack, parts = zlib.decompressobj(31), []
+        while not unpack.eof and at < len(content):
+            # In pieces: what a member leaves over is copied.
+            piece = view[at : at + PIECE]
+            parts.append(unpack.decompress(piece))
+            at += len(piece)
+        at -= len(unpack.unused_data)
+        plain = b"".join(parts)
+        if not unpack.eof:
+            raise ValueError("a record is cut short")
         if not plain:
             continue
         head, _, rest = plain.partition(END)
