@@ -237,7 +237,12 @@ def _unpacked(batches: Iterator[pa.RecordBatch], kinds: list[np.dtype]) -> Itera
 # ---------------------------------------------------------------- the stages
 
 
-_ANCHOR = [np.dtype(np.uint64), np.dtype(np.int64), np.dtype(np.int64), np.dtype(np.uint32)]
+#: Of a seed's hash only the upper half is sent, as the lower one chose the bucket: seeds that share it are told apart by their bytes.
+_ANCHOR = [np.dtype(np.uint32), np.dtype(np.int64), np.dtype(np.int64), np.dtype(np.uint32)]
+
+
+def _upper(h: np.ndarray) -> np.ndarray:
+    return (h >> np.uint64(32)).astype(np.uint32)
 
 
 def _anchors(texts: DataFrame, spec: RepeatSpec, buckets: int) -> DataFrame:
@@ -247,7 +252,7 @@ def _anchors(texts: DataFrame, spec: RepeatSpec, buckets: int) -> DataFrame:
             for block in blocks(batch.column(2), 4 << 20):
                 h, row, at = minimizers(block, spec)
                 row = row + block.first
-                yield _pack_batch(list(_packed((h % np.uint64(buckets)).astype(np.int64), [h, rid[row], key[row], at.astype(np.uint32)])))
+                yield _pack_batch(list(_packed((h % np.uint64(buckets)).astype(np.int64), [_upper(h), rid[row], key[row], at.astype(np.uint32)])))
 
     return texts.mapInArrow(run, _PACK)
 
@@ -294,7 +299,7 @@ def _contexts(with_at: DataFrame, spec: RepeatSpec, buckets: int) -> DataFrame:
                 column = np.arange(spec.around)
                 out[(column < (spec.reach - left)[:, None]) | (column >= (spec.reach + spec.seed + right)[:, None])] = 0
                 row = row + block.first
-                columns = [h, rid[row], key[row], (at - block.offsets[row - block.first]).astype(np.uint32), left.astype(np.uint8), right.astype(np.uint8), out.view(np.dtype((np.void, spec.around))).ravel()]
+                columns = [_upper(h), rid[row], key[row], (at - block.offsets[row - block.first]).astype(np.uint32), left.astype(np.uint8), right.astype(np.uint8), out.view(np.dtype((np.void, spec.around))).ravel()]
                 yield _pack_batch(list(_packed((h % np.uint64(buckets)).astype(np.int64), columns)))
 
     return with_at.mapInArrow(run, _PACK)
