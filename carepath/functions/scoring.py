@@ -28,8 +28,10 @@ def layer_norm(x: Column, epsilon: float = 1e-5) -> Column:
     """An array brought to mean 0 and variance 1."""
     n = F.size(x).cast("double")
     mean = F.aggregate(x, F.lit(0.0), lambda a, v: a + v) / n
-    var = F.aggregate(x, F.lit(0.0), lambda a, v: a + (v - mean) * (v - mean)) / n
-    return F.transform(x, lambda v: (v - mean) / F.sqrt(var + epsilon))
+    square = F.aggregate(x, F.lit(0.0), lambda a, v: a + v * v) / n
+    # Both moments are bound once per row, not once per element.
+    moments = F.array(F.struct(mean.alias("m"), square.alias("q")))
+    return F.element_at(F.transform(moments, lambda s: F.transform(x, lambda v: (v - s["m"]) / F.sqrt(s["q"] - s["m"] * s["m"] + epsilon))), 1)
 
 
 def linear(x: Column, weights: list[float], bias: float = 0.0) -> Column:

@@ -32,11 +32,11 @@ def sliding(visits: DataFrame, k: int, partial: str = "short_only", pad_side: st
     rows = rows.filter(full if partial == "none" else F.lit(True) if partial == "all" else full | ((usable < k) & (F.col("_pos") == usable)))
     n = F.size("_w")
     gap = F.lit(k) - n
-    nulls = F.when(gap > 0, F.array_repeat(F.lit(None), gap)).otherwise(F.array())
 
     def padded(name: str):
         own = F.transform("_w", lambda x: x[name])
-        empty = nulls.cast(rows.select(own.alias("o")).schema["o"].dataType)
+        element = rows.select(own.alias("o")).schema["o"].dataType.elementType
+        empty = F.array_repeat(F.lit(None).cast(element), F.greatest(gap, F.lit(0)))
         return F.concat(empty, own) if pad_side == "left" else F.concat(own, empty)
 
     on, off = F.array_repeat(F.lit(True), n), F.array_repeat(F.lit(False), gap)

@@ -28,7 +28,7 @@ def _labelled(s, d):
 # ---------------------------------------------------------------- times
 
 
-@query("t_prior_gap", ENC + " SELECT visit_id, CAST(greatest(admit - prior_discharge, 0) AS BIGINT) AS gap_days, prior_discharge IS NOT NULL AS has_prior FROM seq")
+@query("t_prior_gap", ENC + " SELECT visit_id, CAST(CASE WHEN prior_discharge IS NULL THEN 0 ELSE greatest(admit - prior_discharge, 0) END AS BIGINT) AS gap_days, prior_discharge IS NOT NULL AS has_prior FROM seq")
 def _(s, d):
     return temporal.prior_gap(_enc(s, d)).select("visit_id", F.when(F.col("has_prior"), F.col("gap_days")).otherwise(0).cast("bigint").alias("gap_days"), "has_prior")
 
@@ -233,7 +233,7 @@ def _(s, d):
 # ---------------------------------------------------------------- datasets and folds
 
 
-@query("d_return_dataset", ENC + " SELECT visit_id, subject_id, CAST(coalesce(greatest(admit - prior_discharge, 0), -1) AS BIGINT) AS gap, CAST(discharge - admit AS BIGINT) AS stay, y FROM lab")
+@query("d_return_dataset", ENC + " SELECT visit_id, subject_id, CAST(CASE WHEN prior_discharge IS NULL THEN -1 ELSE greatest(admit - prior_discharge, 0) END AS BIGINT) AS gap, CAST(discharge - admit AS BIGINT) AS stay, y FROM lab")
 def _(s, d):
     rows = cohorts.return_dataset(_enc(s, d))
     gap = F.when(F.col("has_prior"), F.col("gap_days")).otherwise(-1)
@@ -431,7 +431,7 @@ def _scores(s, d):
     return scoring.prevalence_scorer(rows, rows)
 
 
-_RISK = ENC + ", sc AS (SELECT visit_id AS sample_id, y, 1 / (1 + coalesce(greatest(admit - prior_discharge, 0), 365) + CAST(discharge - admit AS DOUBLE)) AS p FROM lab)"
+_RISK = ENC + ", sc AS (SELECT visit_id AS sample_id, y, 1 / (1 + CASE WHEN prior_discharge IS NULL THEN 365 ELSE greatest(admit - prior_discharge, 0) END + CAST(discharge - admit AS DOUBLE)) AS p FROM lab)"
 
 
 def _risk(s, d):
@@ -491,7 +491,7 @@ def _(s, d):
     return _rounded(metrics.recall_at_k(_scores(s, d), (3, 5, 10)), "recall_3", "recall_5", "recall_10")
 
 
-@query("a_over_folds", f"{ENC}{_FOLD}, sc AS (SELECT fold, y, 1 / (1 + coalesce(greatest(admit - prior_discharge, 0), 365) + CAST(discharge - admit AS DOUBLE)) AS p FROM lab JOIN fold USING (subject_id)), cu AS (SELECT fold, p, CAST(sum(y) AS DOUBLE) AS pos, CAST(sum(1 - y) AS DOUBLE) AS neg FROM sc GROUP BY fold, p), cv AS (SELECT fold, pos, neg, sum(pos) OVER w AS tp, sum(pos) OVER v AS ap, sum(neg) OVER v AS an FROM cu WINDOW w AS (PARTITION BY fold ORDER BY p DESC), v AS (PARTITION BY fold)), a AS (SELECT fold, sum(neg * (tp - pos / 2)) / (max(ap) * max(an)) AS auc FROM cv GROUP BY fold) SELECT 'closed form' AS config, round(avg(auc), 6) AS auc_mean, round(stddev_samp(auc), 6) AS auc_std, count(*) AS folds FROM a")
+@query("a_over_folds", f"{ENC}{_FOLD}, sc AS (SELECT fold, y, 1 / (1 + CASE WHEN prior_discharge IS NULL THEN 365 ELSE greatest(admit - prior_discharge, 0) END + CAST(discharge - admit AS DOUBLE)) AS p FROM lab JOIN fold USING (subject_id)), cu AS (SELECT fold, p, CAST(sum(y) AS DOUBLE) AS pos, CAST(sum(1 - y) AS DOUBLE) AS neg FROM sc GROUP BY fold, p), cv AS (SELECT fold, pos, neg, sum(pos) OVER w AS tp, sum(pos) OVER v AS ap, sum(neg) OVER v AS an FROM cu WINDOW w AS (PARTITION BY fold ORDER BY p DESC), v AS (PARTITION BY fold)), a AS (SELECT fold, sum(neg * (tp - pos / 2)) / (max(ap) * max(an)) AS auc FROM cv GROUP BY fold) SELECT 'closed form' AS config, round(avg(auc), 6) AS auc_mean, round(stddev_samp(auc), 6) AS auc_std, count(*) AS folds FROM a")
 def _(s, d):
     rows = _risk(s, d).join(_enc(s, d).select(F.col("visit_id").alias("sample_id"), "subject_id"), "sample_id").join(_folded(s, d).select("subject_id", "fold"), "subject_id")
     each = metrics.roc_auc(rows, ["fold"]).withColumn("config", F.lit("closed form"))
@@ -576,4 +576,4 @@ def _(s, d):
 @query("v_nearest_lsh")
 def _(s, d):
     e = load(s, d, "embeddings")
-    return vectors.nearest_lsh(e, e.filter("vec_id % 100 = 0"), 1.0)
+    return vectors.nearest_lsh(e, e.filter("vec_id % 100 = 0"), 1.35, bucket=2.0)
