@@ -130,7 +130,7 @@ def grams(w: Words, k: int) -> tuple[np.ndarray, np.ndarray]:
     with np.errstate(over="ignore"):
         for i in range(k):
             part = np.zeros(n, np.uint64)
-            part[: n - i] = w.hash[i:]
+            part[: max(0, n - i)] = w.hash[i:]
             h = _spread(h * _ODD + part)
     last = np.repeat(w.rows[1:], np.diff(w.rows))
     return h, np.arange(n) + k <= last
