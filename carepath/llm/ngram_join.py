@@ -3,7 +3,8 @@
 Documents with the same set of word shingles are one class, and only one representative of a class goes on. A tile holds
 the representatives that share a shingle of their prefixes (the smallest hashes, as many as two sets above the threshold
 can't all miss), in order of set size, so that only a band of sizes can meet. Within a band, bit counts of hashed bitmaps
-bound the overlap from above; pairs that pass the bound are decided by intersecting the exact sorted arrays.
+bound the overlap from above; pairs that pass the bound are decided by intersecting the exact sorted arrays. The many tiles
+of a few sets are taken as pairs, each looked at once however many shingles it shares.
 
 Components need fewer pairs than the join has. In a tile each set first meets the leaders, which passed no bound with
 an earlier leader, and asks for one exact check, of the likeliest. Where such a check was asked, a second look takes the pairs
@@ -32,6 +33,8 @@ from carepath.llm._blocks import _ODD, Block, _spread, blocks, grams, words
 from carepath.llm._shared import written
 
 CROWDED = 4096
+#: Tiles of up to so many sets are taken as their pairs at once (at most one and a half for each set).
+SMALL = 4
 #: Bits of a signature at least: short sets differ in few elements, which then seldom share a bit.
 LEAST_BITS = 512
 #: In its first second look, a tile asks for this many checks of a set with each other component; then for all.
@@ -95,7 +98,7 @@ def bound(n: int, sig: np.ndarray, others_n: np.ndarray, others: np.ndarray) ->
 
 
 class Tile:
-    """Sets of one tile in order of size, with their signatures by length."""
+    """Sets of one tile in order of id, with their signatures by length."""
 
     def __init__(self, n: np.ndarray, sigs: list[bytes], percent: int):
         self.n, self.percent = n, percent
@@ -106,33 +109,35 @@ class Tile:
             own = self.length == k
             self.place[own] = np.arange(own.sum())
 
-    def meets(self, i: int, earlier: np.ndarray) -> np.ndarray:
-        """Those of ``earlier`` (ascending, before i) that the bound lets pass with i, the likeliest first."""
-        earlier = earlier[np.searchsorted(self.n[earlier], -(-self.n[i] * self.percent // 100)) :]
-        found, shares = [], []
+    def meets(self, i: int, earlier: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Those of ``earlier`` in the band of i's size that the bound lets pass with i, and the likely similarities."""
+        n = self.n[i]
+        other = self.n[earlier]
+        earlier = earlier[(100 * other >= self.percent * n) & (100 * n >= self.percent * other)]
+        found, shares = [np.zeros(0, np.int64)], [np.zeros(0)]
         k = int(self.length[i])
         sig = self.matrix[k][self.place[i]]
-        while len(earlier):
-            same = earlier[self.length[earlier] == k]
-            if len(same):
-                most = bound(int(self.n[i]), sig, self.n[same], self.matrix[k][self.place[same]])
-                union = self.n[i] + self.n[same] - most
-                ok = 100 * most >= self.percent * union
-                found.append(same[ok])
-                shares.append(most[ok] / union[ok])
-            earlier = earlier[self.length[earlier] < k]
-            if not len(earlier):
-                break
-            k, sig = k // 2, fold(sig)
-        return np.concatenate(found)[np.argsort(-np.concatenate(shares), kind="stable")] if found else np.zeros(0, np.int64)
+        for length in np.unique(self.length[earlier]):
+            same = earlier[self.length[earlier] == length]
+            mine, theirs = sig, self.matrix[int(length)][self.place[same]]
+            while mine.shape[-1] > theirs.shape[-1]:
+                mine = fold(mine)
+            while theirs.shape[-1] > mine.shape[-1]:
+                theirs = fold(theirs)
+            most = bound(int(n), mine, self.n[same], theirs)
+            union = n + self.n[same] - most
+            ok = 100 * most >= self.percent * union
+            found.append(same[ok])
+            shares.append(most[ok] / union[ok])
+        return np.concatenate(found), np.concatenate(shares)
 
     def stars(self) -> Iterator[tuple[int, int]]:
         leaders = np.zeros(len(self.n), np.int64)
         many = 0
         for i in range(len(self.n)):
-            met = self.meets(i, leaders[:many])
+            met, _ = self.meets(i, leaders[:many])
             if len(met):
-                yield int(met[0]), i
+                yield int(met.min()), i
             else:
                 leaders[many] = i
                 many += 1
@@ -141,7 +146,8 @@ class Tile:
         """Pairs in two components, up to ``most`` of a set with each other component; (-1, i) tells that some were left out."""
         for i in range(1, len(self.n)):
             seen: dict[int, int] = {}
-            for j in self.meets(i, np.flatnonzero(component[:i] != component[i])):
+            met, share = self.meets(i, np.flatnonzero(component[:i] != component[i]))
+            for j in met[np.argsort(-share, kind="stable")]:
                 c = int(component[j])
                 seen[c] = seen.get(c, 0) + 1
                 if most is None or seen[c] <= most:
@@ -192,7 +198,10 @@ def _runs(batches: Iterator[pa.RecordBatch], key: int = 0) -> Iterator[pa.Table]
 
 
 def _shared(tiles: DataFrame, percent: int) -> DataFrame:
-    """Rows of (h, rid, n), dealt by h, that have some other row of near size in their tile; and the tile's count."""
+    """Rows of (h, rid, n), dealt by h, that have some other row of near size in their tile; and the tile's count.
+
+    Tiles of up to ``SMALL`` rows are given as their pairs of near size at once: rid and other.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest = None  # the last tile of a batch may go on in the next
@@ -215,12 +224,35 @@ def _shared(tiles: DataFrame, percent: int) -> DataFrame:
         keep[:-1] |= close
         if not keep.any():
             return
-        h = h[keep]
-        cuts = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
-        count = np.repeat(np.diff(np.append(cuts, len(h))), np.diff(np.append(cuts, len(h))))
-        yield from table.filter(pa.array(keep)).append_column("count", pa.array(count)).combine_chunks().to_batches()
+        h, rid, n = (table.column(i).to_numpy()[keep] for i in range(3))
+        cuts = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
+        count = np.repeat(np.diff(cuts), np.diff(cuts))
+        big = count > SMALL
+        out = [(h[big], rid[big], n[big], count[big], np.zeros(big.sum(), np.int64))]
+        for d in range(1, SMALL):
+            i = np.flatnonzero(~big[d:] & (h[d:] == h[:-d]) & (100 * n[:-d] >= percent * n[d:]))
+            a, b = np.minimum(rid[i], rid[i + d]), np.maximum(rid[i], rid[i + d])
+            out.append((h[i], a, n[i], count[i], b))
+        columns = [np.concatenate(c) for c in zip(*out, strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["h", "rid", "n", "count", "other"])
+
+    return tiles.repartition("h").sortWithinPartitions("h", "n", "rid").mapInArrow(run, "h long, rid long, n long, count long, other long")
+
+
+def _bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """The distinct pairs (a, b) that the bound lets pass."""
+    side = lambda x: classes.select(F.col("rid").alias(x), F.col("n").alias(f"n_{x}"), F.col("sig").alias(f"sig_{x}"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for m, x, n, y in zip(*(batch.column(i) for i in range(2, 6)), strict=True):
+                t = Tile(np.array([m.as_py(), n.as_py()]), [x.as_py(), y.as_py()], percent)
+                keep.append(len(t.meets(1, np.zeros(1, np.int64))[0]) > 0)
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return tiles.repartition("h").sortWithinPartitions("h", "n", "rid").mapInArrow(run, "h long, rid long, n long, count long")
+    both = pairs.distinct().join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "sig_a", "n_b", "sig_b")
+    return both.mapInArrow(run, "a long, b long")
 
 
 def _pairs(tiles: DataFrame, percent: int, between: bool, most: int | None = None) -> DataFrame:
@@ -244,7 +276,7 @@ def _pairs(tiles: DataFrame, percent: int, between: bool, most: int | None = Non
                 found.clear()
         yield out()
 
-    return tiles.select("h", "rid", "n", "sig", "component").repartition("h").sortWithinPartitions("h", "n", "rid").mapInArrow(run, "h long, a long, b long")
+    return tiles.select("h", "rid", "n", "sig", "component").repartition("h").sortWithinPartitions("h", "rid").mapInArrow(run, "h long, a long, b long")
 
 
 def _wanted_sets(docs: DataFrame, ids: DataFrame, spec: JoinSpec) -> DataFrame:
@@ -291,14 +323,18 @@ def joined(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
     shared = written(_shared(tiles, spec.percent), "join-tiles")
     crowded = shared.filter(F.col("count") > CROWDED).select("h", "rid", "n").join(classes.select("rid", "prefix"), "rid").select(F.explode("prefix").alias("h2"), "h", "rid", "n").filter("h <> h2")
     parted = _shared(crowded.select(F.xxhash64(F.least("h", "h2"), F.greatest("h", "h2")).alias("h"), "rid", "n").distinct(), spec.percent)
-    rows = shared.filter(F.col("count") <= CROWDED).unionByName(parted).select("h", "rid", "n").join(classes.select("rid", "sig"), "rid")
-    rows = written(rows.withColumn("component", F.col("rid")), "join-bands")
+    shared = written(shared.filter(F.col("count") <= CROWDED).unionByName(parted), "join-tiles")
+    few = written(_bounded(shared.filter(F.col("count") <= SMALL).select(F.col("rid").alias("a"), F.col("other").alias("b")), classes, spec.percent), "join-pairs")
+    rows = written(shared.filter(F.col("count") > SMALL).select("h", "rid", "n").join(classes.select("rid", "sig"), "rid").withColumn("component", F.col("rid")), "join-bands")
     asked = written(_pairs(rows, spec.percent, False), "join-stars")
-    links = written(_verified(asked.select("a", "b").distinct(), docs, spec), "join-links")
+    tried = written(asked.select("a", "b").unionByName(few).distinct(), "join-asked")
+    links = written(_verified(tried, docs, spec), "join-links")
     groups = _graph.components(links)
-    tried, looked_at = asked.select("a", "b"), rows.drop("component").join(asked.select("h").distinct(), "h", "left_semi")
+    tiles_asked = asked.select("h").distinct()
     for most in (FIRST_CHECKS, None):
-        again = looked_at.join(groups, F.col("rid") == F.col("node"), "left").select("h", "rid", "n", "sig", F.coalesce("component", "rid").alias("component"))
+        light = rows.select("h", "rid").join(tiles_asked, "h", "left_semi").join(groups, F.col("rid") == F.col("node"), "left").select("h", "rid", F.coalesce("component", "rid").alias("component"))
+        open_tiles = light.groupBy("h").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("h")
+        again = rows.select("h", "rid", "n", "sig").join(open_tiles, "h", "left_semi").join(groups, F.col("rid") == F.col("node"), "left").select("h", "rid", "n", "sig", F.coalesce("component", "rid").alias("component"))
         found = written(_pairs(again, spec.percent, True, most).select("a", "b").distinct(), "join-found")
         rest = written(found.filter("a IS NOT NULL").join(tried, ["a", "b"], "left_anti"), "join-rest")
         if not rest.isEmpty():
