@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -51,6 +52,23 @@ def prefixes(visits: DataFrame, max_len: int = 100) -> DataFrame:
     return rows.filter("target_visit IS NOT NULL").select("subject_id", "target_visit", "visit_ids", F.size("visit_ids").alias("n"))
 
 
+def sliding_in_tasks(visits: DataFrame, k: int) -> DataFrame:
+    """(subject_id, target_visit, visit_ids): the full windows of ``sliding`` built in Arrow tasks, a subject at a time.
+
+    Rows cross to Python once instead of k times; a subject's visits must fit a task.
+    """
+
+    def windows(key, table):  # without annotations, which Spark would read as the kind of function
+        rows = table.sort_by([("admit_ts", "ascending"), ("visit_id", "ascending")])
+        ids = rows.column("visit_id").to_pylist()
+        made = [(key[0].as_py(), ids[i + k], ids[i : i + k]) for i in range(len(ids) - k)]
+        columns = list(zip(*made, strict=True)) if made else [(), (), ()]
+        return pa.table([pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.list_(pa.int64()))], names=["subject_id", "target_visit", "visit_ids"])
+
+    rows = visits.select("subject_id", "admit_ts", "visit_id")
+    return rows.groupBy("subject_id").applyInArrow(windows, "subject_id long, target_visit long, visit_ids array<long>")
+
+
 def count_report(visits: DataFrame, ks: tuple[int, ...] = (3, 6)) -> DataFrame:
     """(scheme, samples) in closed form from visits per subject."""
     per = visits.groupBy("subject_id").agg((F.count("*") - 1).alias("m")).filter("m > 0")

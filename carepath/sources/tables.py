@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from carepath.sources.stores import written
+
 #: Schemas as DDL; reading never infers.
 SCHEMAS = {
     "region": "r_regionkey INT, r_name STRING",
@@ -54,6 +56,6 @@ def upsert_missing(df: DataFrame, path: str, key: str) -> DataFrame:
         new = df.join(spark.read.parquet(path).select(key).distinct(), key, "left_anti")
     else:
         new = df
-    new = new.dropDuplicates([key]).persist()
+    new = written(new.dropDuplicates([key]))  # what is new must not be looked up again once it is in the store
     new.write.mode("append").parquet(path)
     return new

@@ -18,7 +18,7 @@ class TrajectoryState(StatefulProcessor):
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.last = handle.getListState("last", "visit_id long")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:  # noqa: N802
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802
         new = pd.concat(list(rows)).sort_values(["admit_ts", "visit_id"])
         held = [r[0] for r in self.last.get()]
         out = []
@@ -48,7 +48,7 @@ class LabelTimer(StatefulProcessor):
         self.handle = handle
         self.open = handle.getValueState("open", "visit_id long, discharge_ms long")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:  # noqa: N802
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802
         out = []
         for r in pd.concat(list(rows)).sort_values(["admit_ts", "visit_id"]).itertuples():
             held = self.open.get() if self.open.exists() else None
@@ -62,7 +62,7 @@ class LabelTimer(StatefulProcessor):
             self.handle.registerTimer(end + self.horizon)
         yield pd.DataFrame(out, columns=["subject_id", "visit_id", "y_return"])
 
-    def handleExpiredTimer(self, key, timer, expired) -> Iterator[pd.DataFrame]:  # noqa: N802
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N802
         out = []
         if self.open.exists():
             out.append((key[0], int(self.open.get()[0]), 0))

@@ -162,3 +162,26 @@ def test_plans(spark):
 def test_text_models_have_no_visit_vector(spark):
     with pytest.raises(ValueError):
         sequences.attach(visits(spark, [0]), spark.createDataFrame([], "visit_id long, model_id string, h array<float>"), "m", uses_text=True)
+
+
+def test_windows_in_tasks_equal_windows(spark):
+    v = visits(spark, [0, 1, 2, 3, 4])
+    want = {(r.target_visit, tuple(r.visit_ids)) for r in sequences.sliding(v, 2, partial="none").collect()}
+    assert {(r.target_visit, tuple(r.visit_ids)) for r in sequences.sliding_in_tasks(v, 2).collect()} == want
+
+
+def test_stores(spark, tmp_path):
+    from carepath.models import encoders
+    from carepath.sources import tables
+
+    texts = spark.createDataFrame([(1, 0, 1, "a b"), (2, 0, 1, "a b"), (3, 0, 1, "c")], "visit_id long, chunk_no int, n_chunks int, text string")
+    path = str(tmp_path / "store")
+    new = [tables.upsert_missing(encoders.encode_text(texts.filter(f"visit_id <= {n}"), encoders.HashedProjection(8)), path, "content").count() for n in (2, 3, 3)]
+    assert new == [1, 1, 0] and spark.read.parquet(path).count() == 2
+
+
+def test_logistic_reference_orders_like_the_feature(spark):
+    from carepath.models import reference
+
+    rows = spark.createDataFrame([(i, i / 50, int(i > 25)) for i in range(50)], "visit_id long, gap double, y int")
+    assert metrics.roc_auc(reference.logistic(rows, rows, ["gap"], "y")).first().auc == 1.0

@@ -69,3 +69,14 @@ def test_interval_join_finds_returns(spark, tmp_path):
     windows.start(rows, str(tmp_path / "cp"), to_table="got_returns").awaitTermination()
     got = {(r.visit_id, r.next_id) for r in spark.table("got_returns").collect()}
     assert got == {(100 + i, 101 + i) for i in range(5)}
+
+
+def test_labels_mature(spark, tmp_path):
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    batch, stream = visit_files(spark, str(tmp_path / "in"))
+    windows.start(state.matured_labels(stream.withWatermark("admit_ts", "1 hour")), str(tmp_path / "cp"), to_table="got_labels").awaitTermination()
+    got = {r.visit_id: r.y_return for r in spark.table("got_labels").filter("subject_id < 9").collect()}
+    from carepath.operators import temporal
+
+    want = {r.visit_id: r.y_return for r in temporal.return_label(batch.withColumn("urgency", F.lit(""))).filter("subject_id < 9").collect()}
+    assert got == want
