@@ -45,11 +45,17 @@ def sliding(visits: DataFrame, k: int, partial: str = "short_only", pad_side: st
     return rows.select("subject_id", target.alias("target_visit"), padded("visit_id").alias("visit_ids"), mask.alias("mask"), n.alias("n"), *(padded(c).alias(c) for c in carry or []))
 
 
-def prefixes(visits: DataFrame, max_len: int = 100) -> DataFrame:
-    """(subject_id, target_visit, visit_ids, n): every prefix of a history, the next visit as target; the longest tail of ``max_len``."""
-    w = by_subject()
-    rows = visits.withColumns({"visit_ids": F.collect_list("visit_id").over(w.rowsBetween(-(max_len - 1), 0)), "target_visit": F.lead("visit_id").over(w)})
-    return rows.filter("target_visit IS NOT NULL").select("subject_id", "target_visit", "visit_ids", F.size("visit_ids").alias("n"))
+def prefixes(visits: DataFrame, max_len: int | None = None, carry: list[str] | None = None) -> DataFrame:
+    """(subject_id, target_visit, visit_ids, n, carried arrays): every prefix of a history as a whole, the next visit as target.
+
+    With ``max_len`` only the last ``max_len`` visits of a prefix are kept, and ``n_cut`` tells how many were left out.
+    """
+    w, names = by_subject(), ["visit_id", *(carry or [])]
+    frame = w.rowsBetween(Window.unboundedPreceding if max_len is None else -(max_len - 1), 0)
+    rows = visits.withColumns({"_w": F.collect_list(F.struct(*names)).over(frame), "target_visit": F.lead("visit_id").over(w), "_pos": F.row_number().over(w)})
+    columns = [F.transform("_w", lambda x, c=c: x[c]).alias(c) for c in carry or []]
+    cut = [] if max_len is None else [(F.col("_pos") - F.size("_w")).alias("n_cut")]
+    return rows.filter("target_visit IS NOT NULL").select("subject_id", "target_visit", F.transform("_w", lambda x: x["visit_id"]).alias("visit_ids"), F.size("_w").alias("n"), *cut, *columns)
 
 
 def sliding_in_tasks(visits: DataFrame, k: int) -> DataFrame:

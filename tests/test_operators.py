@@ -185,3 +185,11 @@ def test_logistic_reference_orders_like_the_feature(spark):
 
     rows = spark.createDataFrame([(i, i / 50, int(i > 25)) for i in range(50)], "visit_id long, gap double, y int")
     assert metrics.roc_auc(reference.logistic(rows, rows, ["gap"], "y")).first().auc == 1.0
+
+
+def test_prefixes_of_a_long_history_are_whole(spark):
+    v = spark.sql("SELECT 1L AS subject_id, id AS visit_id, timestamp_ntz'2020-01-01' + make_interval(0, 0, 0, CAST(id AS INT)) AS admit_ts FROM range(131)")
+    got = {r.target_visit: r.visit_ids for r in sequences.prefixes(v).collect()}
+    assert got == {t: list(range(t)) for t in range(1, 131)}
+    cut = {r.target_visit: (r.n, r.n_cut) for r in sequences.prefixes(v, max_len=100).collect()}
+    assert cut == {t: (min(t, 100), max(0, t - 100)) for t in range(1, 131)}
