@@ -53,9 +53,9 @@ def prefixes(visits: DataFrame, max_len: int | None = None, carry: list[str] | N
     w, names = by_subject(), ["visit_id", *(carry or [])]
     frame = w.rowsBetween(Window.unboundedPreceding if max_len is None else -(max_len - 1), 0)
     rows = visits.withColumns({"_w": F.collect_list(F.struct(*names)).over(frame), "target_visit": F.lead("visit_id").over(w), "_pos": F.row_number().over(w)})
-    columns = [F.transform("_w", lambda x, c=c: x[c]).alias(c) for c in carry or []]
+    columns = [F.col("_w").getField(c).alias(c) for c in carry or []]
     cut = [] if max_len is None else [(F.col("_pos") - F.size("_w")).alias("n_cut")]
-    return rows.filter("target_visit IS NOT NULL").select("subject_id", "target_visit", F.transform("_w", lambda x: x["visit_id"]).alias("visit_ids"), F.size("_w").alias("n"), *cut, *columns)
+    return rows.filter("target_visit IS NOT NULL").select("subject_id", "target_visit", F.col("_w").getField("visit_id").alias("visit_ids"), F.size("_w").alias("n"), *cut, *columns)
 
 
 def sliding_in_tasks(visits: DataFrame, k: int) -> DataFrame:

@@ -137,21 +137,25 @@ def as_batch(features: tuple[str, ...], n_classes: int, first: int):
     return build
 
 
-def window_batch(n_classes: int, first: int, width: int, k: int, multi_hot: bool):
-    """Windows of vectors, or of sparse ids made multi-hot, from columns ``steps`` (array per visit, null where padded), mask and y."""
+def window_batch(n_classes: int, first: int, width: int, k: int | None, multi_hot: bool):
+    """Windows of vectors, or of sparse ids made multi-hot, from columns ``steps`` (array per visit, null where padded), mask and y.
+
+    Without ``k``, histories of any length are padded on the left to the longest of the table; masked steps keep the state.
+    """
     labels = as_batch((), n_classes, first)
 
     def build(table: pa.Table) -> Batch:
-        n = len(table)
-        out = np.zeros((n, k, width))
-        for i, steps in enumerate(table.column("steps").to_pylist()):
-            for t, step in enumerate(steps):
+        n, rows = len(table), table.column("steps").to_pylist()
+        long = k or max(map(len, rows), default=1)
+        out, mask = np.zeros((n, long, width)), np.zeros((n, long))
+        for i, (steps, on) in enumerate(zip(rows, table.column("mask").to_pylist(), strict=True)):
+            mask[i, long - len(on) :] = on
+            for t, step in enumerate(steps, long - len(steps)):
                 if step is not None:
                     if multi_hot:
                         out[i, t, [v - C.FIRST_ID for v in step if v >= C.FIRST_ID]] = 1
                     else:
                         out[i, t] = step
-        mask = table.column("mask").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(n, k).astype(float)
         return Batch({"window": out}, labels(table).y, mask)
 
     return build
@@ -260,8 +264,8 @@ def _sequence_scores(spark: SparkSession, sf_dir: str, cfg: Config, rotation: in
         width = n_classes
         ready = sequences.attach_multi_hot(enc, C.ids(lists, vocab)).withColumnRenamed("x", "step")
     if cfg.samples == "prefixes":
-        k = 12
-        windows = sequences.sliding(ready, k, partial="all", carry=["step"])
+        k = None
+        windows = sequences.prefixes(ready, carry=["step"]).withColumn("mask", F.transform("visit_ids", lambda v: F.lit(True)))
     else:
         k = cfg.window
         windows = sequences.sliding(ready, k, carry=["step"], last_visit="keep" if cfg.task == "return" else "drop")

@@ -134,3 +134,26 @@ def test_batches_of_sparse_labels():
 def test_presets_cover_the_tables():
     assert [len(x) for x in (presets.initial_tuned(), presets.initial_frozen(), presets.final_return(), presets.next_codes("grp"), presets.on_vectors(), presets.on_multi_hot())] == [5, 6, 8, 9, 9, 7]
     assert len(presets.grid(X.Config("g"), cell=["gru", "lstm"], layers=[1, 2, 3])) == 6
+
+
+def test_prefix_samples_lose_no_visits(spark, monkeypatch):
+    """What the sequence comparator trains on and scores has every visit of every prefix."""
+    visits = [(1, i, i) for i in range(31)] + [(2, 100 + i, i) for i in range(4)]
+    enc = spark.createDataFrame(visits, "subject_id long, visit_id long, day int")
+    enc = enc.selectExpr("subject_id", "visit_id", "timestamp_ntz'2020-01-01' + make_interval(0, 0, 0, day) AS admit_ts", "0 AS y_return")
+    codes = enc.selectExpr("visit_id", "array('a') AS codes")
+    vocab = spark.createDataFrame([("a", X.C.FIRST_ID)], "code string, id int")
+    monkeypatch.setattr(X, "_codes", lambda *_: (codes, vocab))
+    monkeypatch.setattr(X.C, "ids", lambda lists, vocab: lists.selectExpr("visit_id", f"array({X.C.FIRST_ID}) AS ids"))
+    for step in ("return_label", "stay_length"):
+        monkeypatch.setattr(X.temporal, step, lambda rows: rows)
+    monkeypatch.setattr(X.temporal, "prior_gap", lambda rows, first_fill: rows)
+    monkeypatch.setattr(X.retail, "encounters", lambda *_: enc)
+    monkeypatch.setattr(X, "roles", lambda rows, *_: rows.selectExpr("*", "'test' AS role"))
+    seen = []
+    monkeypatch.setattr(X.TR, "fit", lambda model, train, held, build, spec: TR.Fitted(model, 0))
+    monkeypatch.setattr(X.TR, "score", lambda model, rows, build: seen.append(build(rows.orderBy("sample_id").toArrow())))
+    X._sequence_scores(spark, "", presets.sequence_comparator(), 0)
+    lengths = [*range(1, 31), 1, 2, 3]
+    assert seen[0].mask.sum(axis=1).tolist() == lengths
+    assert seen[0].x["window"].sum(axis=(1, 2)).tolist() == lengths and seen[0].mask.shape == (33, 30)
