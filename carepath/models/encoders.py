@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from carepath.operators import codes as C
+from carepath.sources.stores import written
 
 
 def _place(word: str, d: int, seed: int) -> tuple[int, float]:
@@ -31,6 +32,8 @@ class HashedProjection:
     d: int = 64
     seed: int = 3
     weights: dict[str, float] = field(default_factory=dict)
+    #: Weights as a table (w, o), where there are too many to bring to tasks.
+    table: DataFrame | None = field(default=None, repr=False)
     _known: dict[str, tuple[int, float]] = field(default_factory=dict, repr=False)
 
     def encode(self, texts: list[str]) -> np.ndarray:
@@ -46,7 +49,7 @@ class HashedProjection:
         return out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9) * (np.abs(out).sum(axis=1, keepdims=True) > 0)
 
 
-#: Words that a label-tuned encoder weighs: the strongest ones, so that what is broadcast has a bound.
+#: Weights of words that are brought to tasks; beyond it all of them stay a table that is joined.
 TUNED_WORDS = 50_000
 
 
@@ -57,13 +60,36 @@ def label_tuned(texts: DataFrame, label: str, d: int = 64, seed: int = 3) -> Has
     words = texts.select(label, F.explode(F.array_distinct(F.split("text", r"\s+"))).alias("w")).filter("w <> ''")
     counts = words.groupBy("w").agg(F.sum(label).alias("p"), F.count("*").alias("n")).filter("n >= 3")
     odds = F.abs(F.ln((F.col("p") + 0.5) / (pos + 1.0)) - F.ln((F.col("n") - F.col("p") + 0.5) / (neg + 1.0)))
-    best = counts.select("w", odds.alias("o")).orderBy(F.desc("o"), "w").limit(TUNED_WORDS)
-    return HashedProjection(d, seed, {r["w"]: float(r["o"]) for r in best.collect()})
+    weights = counts.select("w", odds.alias("o"))
+    few = weights.limit(TUNED_WORDS + 1).collect()
+    if len(few) > TUNED_WORDS:
+        return HashedProjection(d, seed, table=written(weights))
+    return HashedProjection(d, seed, {r["w"]: float(r["o"]) for r in few})
+
+
+def _encode_joined(rows: DataFrame, encoder: HashedProjection) -> DataFrame:
+    """``encode`` with weights joined: the place of each distinct word, and sums per text, place by place."""
+    texts = rows.select("content", "text").dropDuplicates(["content"])
+    words = texts.select("content", F.explode(F.split("text", r"\s+")).alias("w")).filter("w <> ''").groupBy("content", "w").agg(F.count("*").alias("n"))
+    d, seed = encoder.d, encoder.seed
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = [_place(w, d, seed) for w in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([a for a, _ in at], pa.int32()), pa.array([s * o for (_, s), o in zip(at, batch.column(1).to_pylist(), strict=True)], pa.float64())], names=["w", "at", "v"])
+
+    weights = words.select("w").distinct().join(encoder.table, "w", "left").select("w", F.coalesce("o", F.lit(0.05)).alias("o")).mapInArrow(place, "w string, at int, v double")
+    sums = words.join(weights, "w").groupBy("content", "at").agg(F.sum(F.col("n") * F.col("v")).alias("v")).groupBy("content").agg(F.map_from_entries(F.collect_list(F.struct("at", "v"))).alias("m"), F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("norm"))
+    vec = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.element_at("m", i) / F.greatest("norm", F.lit(1e-9)), F.lit(0.0)).cast("float"))
+    zero = F.array_repeat(F.lit(0.0).cast("float"), d)
+    return rows.join(sums.select("content", vec.alias("vec")), "content", "left").select(*rows.drop("text").columns, F.coalesce("vec", zero).alias("vec"))
 
 
 def encode_text(chunks: DataFrame, encoder: HashedProjection, keep: tuple[str, ...] = ("visit_id", "chunk_no", "n_chunks")) -> DataFrame:
     """``keep``, the chunk's content key, and ``vec``. Equal texts have equal keys, so a store need only take in what is new."""
     rows = chunks.select(*keep, F.sha2("text", 256).alias("content"), "text")
+    if encoder.table is not None:
+        return _encode_joined(rows, encoder)
     shared = chunks.sparkSession.sparkContext.broadcast(encoder)
     names = [*rows.columns[:-1], "vec"]
 

@@ -2,6 +2,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
+from carepath.models import encoders
 from carepath.models import layers as L
 from carepath.models import train as TR
 from carepath.models.nets import Batch, EndToEnd, FeatureSpec, TrajectoryModel, VisitModel
@@ -157,3 +158,16 @@ def test_prefix_samples_lose_no_visits(spark, monkeypatch):
     lengths = [*range(1, 31), 1, 2, 3]
     assert seen[0].mask.sum(axis=1).tolist() == lengths
     assert seen[0].x["window"].sum(axis=(1, 2)).tolist() == lengths and seen[0].mask.shape == (33, 30)
+
+
+def test_tuned_weights_beyond_the_limit_are_joined(spark, monkeypatch):
+    """No word loses its weight: what is joined gives the vectors of what is broadcast."""
+    rng = np.random.default_rng(3)
+    rows = [(i, i % 2, " ".join([f"w{v}" for v in rng.integers(0, 60, 30)] + [f"y{i % 2}"])) for i in range(80)] + [(80, 0, ""), (81, 1, "w1  w1 unseen")]
+    texts = spark.createDataFrame(rows, "visit_id long, y int, text string")
+    vectors = lambda e: {r.visit_id: r.vec for r in encoders.encode_text(texts, e, ("visit_id",)).collect()}
+    want = vectors(encoders.label_tuned(texts, "y", 16))
+    monkeypatch.setattr(encoders, "TUNED_WORDS", 10)
+    got = vectors(encoders.label_tuned(texts, "y", 16))
+    assert set(got) == set(want) == set(range(82))
+    assert all(np.allclose(got[i], want[i], atol=1e-5) for i in want)
