@@ -285,6 +285,12 @@ def _sequence_scores(spark: SparkSession, sf_dir: str, cfg: Config, rotation: in
     return TR.score(net, part("test"), build), rows.filter("role = 'train'").count(), fitted.steps
 
 
+def in_full(configs: list[Config]) -> list[Config]:
+    """Configurations with every rotation of their folds: ten, five of ``visit5``, three holdouts."""
+    turns = {"visit5": 5, "holdout": 3}
+    return [replace(c, scale=replace(c.scale, rotations=tuple(range(turns.get(c.folds, 10))))) for c in configs]
+
+
 def run_all(spark: SparkSession, sf_dir: str, configs: list[Config]) -> DataFrame:
     first, *rest = (run(spark, sf_dir, c) for c in configs)
     for r in rest:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from carepath.models import train as TR
 from carepath.plans import experiments as X
 from carepath.plans import presets as P
@@ -28,30 +30,36 @@ _sequence_query("m_gru_scores", "gru")
 _sequence_query("m_lstm_scores", "lstm")
 
 
+#: The rows of each results table, with every rotation.
+TABLES: dict[str, list[X.Config]] = {}
+
+
 def _table(name, configs):
+    TABLES[name] = X.in_full(configs)
+
     @query(name)
     def _(s, d):
-        return X.run_all(s, d, configs)
+        return X.run_all(s, d, TABLES[name])
 
 
-_table("m_trajectory_eval", P.on_vectors(SCALE)[:1])
+_table("m_trajectory_eval", P.on_vectors(SCALE))
 _table("b_trc", [P.text_return_comparator(SCALE)])
 _table("b_tmc", [P.text_code_comparator(SCALE)])
 _table("b_seqc", [P.sequence_comparator(SCALE)])
 _table("w_tab_i_tuned", P.initial_tuned(SCALE))
 _table("w_tab_i_frozen", P.initial_frozen(SCALE))
 _table("w_tab_r", P.final_return(SCALE))
-_table("w_tab_d", P.next_codes("parent", SCALE)[:4])
+_table("w_tab_d", P.next_codes("parent", SCALE))
 _table("w_tab_c", P.next_codes("grp", SCALE))
-_table("w_tab_s", P.on_vectors(SCALE)[4:6])
-_table("w_tab_m", P.on_multi_hot(SCALE)[:4])
+_table("w_tab_s", P.on_vectors(SCALE))
+_table("w_tab_m", P.on_multi_hot(SCALE))
 _table("w_return_sequences", P.return_on_sequences(SCALE))
 _table("w_future_targets", P.future_targets(SCALE))
 
 
 @query("w_width_sweep")
 def _(s, d):
-    return X.width_sweep(s, d, (1, 10, 50), SCALE)
+    return X.width_sweep(s, d, scale=replace(SCALE, rotations=tuple(range(10))))
 
 
 @query("w_precompute")

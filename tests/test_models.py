@@ -171,3 +171,17 @@ def test_tuned_weights_beyond_the_limit_are_joined(spark, monkeypatch):
     got = vectors(encoders.label_tuned(texts, "y", 16))
     assert set(got) == set(want) == set(range(82))
     assert all(np.allclose(got[i], want[i], atol=1e-5) for i in want)
+
+
+def test_results_tables_are_registered_whole(monkeypatch):
+    from carepath.queries import modelling as M
+    from carepath.queries._registry import QUERIES
+
+    names = lambda configs: [c.name for c in configs]
+    assert names(M.TABLES["w_tab_d"]) == names(presets.next_codes("parent")) and names(M.TABLES["w_tab_m"]) == names(presets.on_multi_hot())
+    assert names(M.TABLES["w_tab_s"]) == names(M.TABLES["m_trajectory_eval"]) == names(presets.on_vectors())
+    turns = {"visit5": 5, "holdout": 3}
+    assert all(c.scale.rotations == tuple(range(turns.get(c.folds, 10))) for configs in M.TABLES.values() for c in configs)
+    monkeypatch.setattr(M.X, "run_all", lambda s, d, configs: configs)
+    sweep = QUERIES["w_width_sweep"](None, "")
+    assert [c.scale.temporal_width for c in sweep] == [1, 2, 5, 10, 20, 50, 100, 200, 500] and all(c.scale.rotations == tuple(range(10)) for c in sweep)
