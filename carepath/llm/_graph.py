@@ -7,20 +7,23 @@ that lineage stays short. Links are rows throughout: none are collected.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from carepath.llm._shared import written
 
 
-def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, component) for every node in a link (a, b); component: the smallest node reachable."""
-    edges = written(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct(), "edges")
+def components(links: DataFrame, known: DataFrame | None = None, most_rounds: int = 60) -> DataFrame:
+    """(node, component) for every node in a link (a, b) or in ``known`` components; component: the smallest node reachable."""
+    edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
+    if known is not None:
+        edges = edges.unionByName(known.select(F.col("node").alias("u"), F.col("component").alias("v")))
+    edges = edges.filter("u <> v").distinct()
     before = None
     for _ in range(most_rounds):
-        large = _star(edges, True)
-        edges = written(_star(large, False), "edges")
-        now = edges.agg(F.count("*").alias("n"), F.sum("v").cast("string").alias("s"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).cast("string").alias("h")).first()
+        seen = Observation()
+        edges = written(_star(_star(edges, True), False).observe(seen, F.count("*").alias("n"), F.sum(F.col("v").cast("decimal(38,0)")).alias("s"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")), "edges")
+        now = seen.get
         if now == before:
             break
         before = now

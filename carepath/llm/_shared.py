@@ -5,6 +5,8 @@ from __future__ import annotations
 import re
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -32,16 +34,42 @@ def scratch_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/carepath/{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex[:12]}"
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def _shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Shuffle files of queries that end meanwhile go at once: what they made is in a table. Settings are as before afterwards."""
+    before = spark.conf.get(_CLEANUP, None)
+    try:
+        spark.conf.set(_CLEANUP, "true")
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(_CLEANUP)
+        else:
+            spark.conf.set(_CLEANUP, before)
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """The rows of ``df`` as a Parquet table in the shared folder: lineage ends there and a lost executor costs only a reread."""
     spark = df.sparkSession
     path = scratch_path(spark, tag)
-    df.write.parquet(path)
-    # The shuffle files behind a finished table are dropped once the driver's collector has seen that nobody needs them.
-    spark._jvm.System.gc()
+    with _shuffles_dropped(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a few numbers that are broadcast at most.
+BROADCAST_ROWS = 1_000_000
+
+
+def if_small(df: DataFrame, most: int = BROADCAST_ROWS, weight: Column | None = None) -> DataFrame:
+    """``df`` marked for broadcast if it has ``most`` rows at most, or that sum of ``weight``; it is counted first. Else as it is, to be joined."""
+    n = df.limit(most + 1).count() if weight is None else df.agg(F.sum(weight)).first()[0] or 0
+    return F.broadcast(df) if n <= most else df
+
+
 def release(spark: SparkSession) -> None:
     """Delete this application's intermediate tables; frames that still read them must be done."""
     root = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/carepath/{spark.sparkContext.applicationId}")

@@ -55,11 +55,44 @@ def test_bound_never_falls_short():
         pool = rng.integers(0, 1 << 62, 900, dtype=np.uint64)
         a, b = (np.unique(rng.choice(pool, rng.integers(1, 700))) for _ in range(2))
         x, y = J.signature(a), J.signature(b)
-        while len(x) > len(y):
-            x = J.fold(x)
-        while len(y) > len(x):
-            y = J.fold(y)
-        assert J.bound(len(a), x, np.array([len(b)]), y[None])[0] >= len(np.intersect1d(a, b))
+        assert J.bound(len(a), *J._level(x, y[None]), np.array([len(b)]))[0] >= len(np.intersect1d(a, b))
+
+
+def test_one_id_with_different_texts(spark):
+    a, b = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60))
+    rows = [(0, b), (2, a), (2, b + " tail"), (3, a), (None, a), (None, "c d e f g h"), (5, b), (5, b)]
+    for parts in (1, 3, 7):
+        docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(parts)
+        got = list((-1 if r.doc_id is None else r.doc_id, r.n_shingles, r.component_id) for r in J.joined(docs).collect())
+        assert sorted(got, key=str) == sorted([(0, 56, 0), (2, 56, 2), (2, 57, 0), (3, 56, 2), (-1, 56, 2), (-1, 2, None), (5, 56, 0), (5, 56, 0)], key=str)
+        kept = sorted(map(tuple, J.one_of_each(docs).collect()), key=str)
+        assert kept == sorted([(0, b), (2, a), (None, "c d e f g h")], key=str)
+
+
+def test_whole_table(spark):
+    """On the given documents, both as the query takes them and as the pipeline does."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    rows = [tuple(r) for r in docs.collect()]
+    for spec in (J.JoinSpec(3, 90), J.JoinSpec()):
+        assert {r.doc_id: (r.n_shingles, r.component_id) for r in J.joined(docs, spec).collect()} == brute(rows, spec)
+
+
+@pytest.mark.parametrize("small, crowded, frequent", [(4, 60, 16), (32, 4096, 1 << 30)])
+def test_group_of_near_copies(spark, monkeypatch, small, crowded, frequent):
+    """Copies of one text with random edits, some below the threshold with all others, beside texts that share a passage with them."""
+    for name, value in (("SMALL", small), ("CROWDED", crowded), ("FREQUENT", frequent)):
+        monkeypatch.setattr(J, name, value)
+    random.seed(8)
+    base, rows = [f"w{i}" for i in range(80)], []
+    for i in range(180):
+        t = list(base)
+        for _ in range(random.choice([0, 1, 1, 2, 3, 4])):
+            t[random.randrange(80)] = f"x{i}"
+        rows.append((i, " ".join(t)))
+    rows += [(1000 + i, " ".join(base[:12] + [f"y{i}.{j}" for j in range(random.randint(20, 60))])) for i in range(30)]
+    spec = J.JoinSpec(3, 80)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in J.joined(spark.createDataFrame(rows, "doc_id long, text string").repartition(5), spec).collect()}
+    assert got == brute(rows, spec)
 
 
 def test_odd_rows(spark, odd, none):
@@ -67,5 +100,5 @@ def test_odd_rows(spark, odd, none):
     assert len(got) == odd.count()
     assert {r.component_id for r in got if r.doc_id == 1} == {1} and {r.n_shingles for r in got if r.doc_id in (2, 3, 4)} == {0}
     kept = J.one_of_each(odd)
-    assert kept.columns == odd.columns and kept.count() == odd.count()
+    assert kept.columns == odd.columns and kept.count() == odd.count() - 1  # a repeated row goes
     assert J.joined(none).count() == 0
