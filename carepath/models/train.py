@@ -192,6 +192,59 @@ def _averaged(model, train, validation, to_batch, spec) -> Fitted:
     return out
 
 
+_GROUP = "rotation int, sample_id long, class_id int, y int, p double, train_rows long, steps int, history array<struct<step:int,training:double,held:double>>, weights binary, low array<double>, high array<double>"
+
+
+def fit_groups(model: Model, rows: DataFrame, to_batch: ToBatch, spec: TrainSpec, held: str = "validation", scaled: tuple[str, ...] = ()) -> DataFrame:
+    """A model for each rotation, trained side by side in tasks, each on its rotation's rows (at most ``driver_rows``, as counted by the caller).
+
+    ``rows``: rotation, role, sample_id and the batch's columns; ``scaled`` ones are brought to 0..1 by the training part.
+    Returns scores of the test part, (rotation, sample_id, class_id, y, p), and a row more for each rotation, without
+    sample, that tells what was trained: rows, steps, loss curve, weights, and the range of the scaled columns.
+    """
+    packed = pickle.dumps(model)
+
+    def train_one(key, table):  # without annotations, which Spark would read as the kind of function
+        own, rotation = pickle.loads(packed), key[0].as_py()
+        # Rows come in any order; mini-batches are drawn from a defined one.
+        table = table.sort_by([(c, "ascending") for c in ("sample_id", "chunk_no") if c in table.column_names])
+        role = table.column("role").to_numpy(zero_copy_only=False)
+        low, high = [], []
+        for name in scaled:
+            x = table.column(name).to_numpy().astype(float)
+            seen = x[role == "train"]
+            lo, hi = (float(seen.min()), float(seen.max())) if len(seen) else (0.0, 0.0)
+            low, high = [*low, lo], [*high, hi]
+            table = table.set_column(table.schema.get_field_index(name), name, pa.array(minmax(x, lo, hi)))
+        part = lambda name: to_batch(table.filter(pa.array(role == name)))
+        train, test = part("train"), table.filter(pa.array(role == "test"))
+        fitted = fit_batches(own, train, part(held), spec)
+        data = to_batch(test)
+        p = own.probabilities(data) if len(test) else np.zeros((0, data.y.shape[1]))
+        n = p.size + 1
+        blank = lambda kind: pa.nulls(n - 1, kind)
+        told = lambda value, kind: pa.concat_arrays([blank(kind), pa.array([value], kind)])
+        more = lambda values, kind: pa.concat_arrays([pa.array(values, kind), pa.nulls(1, kind)])
+        curve = pa.list_(pa.struct([("step", pa.int32()), ("training", pa.float64()), ("held", pa.float64())]))
+        ids = test.column("sample_id").to_numpy()
+        return pa.table({
+            "rotation": pa.array(np.full(n, rotation, np.int32)),
+            "sample_id": more(np.repeat(ids, data.y.shape[1]), pa.int64()), "class_id": more(np.tile(np.arange(data.y.shape[1]), len(ids)), pa.int32()),
+            "y": more(data.y.ravel().astype(np.int32), pa.int32()), "p": more(p.ravel(), pa.float64()),
+            "train_rows": told(len(train), pa.int64()), "steps": told(fitted.steps, pa.int32()),
+            "history": told([dict(zip(("step", "training", "held"), map(float, h), strict=True)) | {"step": int(h[0])} for h in fitted.history], curve),
+            "weights": told(own.get().tobytes(), pa.binary()), "low": told(low, pa.list_(pa.float64())), "high": told(high, pa.list_(pa.float64())),
+        })
+
+    # More parts than rotations: a task for nearly each; a count that is asked for is not coalesced.
+    return rows.repartition(64, "rotation").groupBy("rotation").applyInArrow(train_one, _GROUP)
+
+
+def minmax(x: np.ndarray, low: float, high: float) -> np.ndarray:
+    """As ``temporal.apply_minmax``: clipped to [0, 1], and a column without a range becomes 0."""
+    return np.clip((x - low) / (high - low), 0, 1) if high > low else np.zeros(len(x))
+
+
 def score(model: Model, rows: DataFrame, to_batch: ToBatch, key: str = "sample_id", classes: bool = True) -> DataFrame:
     """(key, class_id, y, p) for every row and class, or one row with an array of scores per sample."""
     shared = rows.sparkSession.sparkContext.broadcast(pickle.dumps(model))

@@ -5,32 +5,33 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-#: Hash prefixes for exact ranks: 64 buckets of 2^26.
-BUCKET = 1 << 26
+#: Hash prefixes for exact ranks: 1,024 buckets of 2^22, so that a stratum is ranked in as many tasks.
+BUCKET = 1 << 22
 
 
-def hashed(*key: str | Column, seed: int | str = 42) -> Column:
+def hashed(*key: str | Column, seed: int | str | Column = 42) -> Column:
     """The first 32 bits of an md5 of the key and the seed."""
     parts = [F.col(k).cast("string") if isinstance(k, str) else k.cast("string") for k in key]
-    return F.conv(F.substring(F.md5(F.concat_ws("/", *parts, F.lit(str(seed)))), 1, 8), 16, 10).cast("bigint")
+    mark = seed if isinstance(seed, Column) else F.lit(str(seed))
+    return F.conv(F.substring(F.md5(F.concat_ws("/", *parts, mark)), 1, 8), 16, 10).cast("bigint")
 
 
-def uniform(*key: str | Column, seed: int | str = 42) -> Column:
+def uniform(*key: str | Column, seed: int | str | Column = 42) -> Column:
     return hashed(*key, seed=seed) / float(1 << 32)
 
 
-def ranked(df: DataFrame, key: str, strata: list[str], seed: int | str = 42) -> DataFrame:
+def ranked(df: DataFrame, key: str, strata: list[str], seed: int | str | Column = 42) -> DataFrame:
     """``rank``: 1, 2, … in hash order within a stratum, without bringing a stratum to one task.
 
     Hash prefixes part a stratum into buckets; their counts, a few rows, become running offsets; rows are numbered within
-    their bucket only.
+    their bucket only. The offsets are joined on what the rows are then dealt by, so the join adds no exchange.
     """
     rows = df.withColumn("_h", hashed(key, seed=seed)).withColumn("_b", F.floor(F.col("_h") / BUCKET))
     counts = rows.groupBy(*strata, "_b").agg(F.count("*").alias("_n"))
     before = Window.partitionBy(*strata).orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.withColumn("_o", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
     own = Window.partitionBy(*strata, "_b").orderBy("_h", key)
-    return rows.join(F.broadcast(offsets), [*strata, "_b"]).withColumn("rank", F.row_number().over(own) + F.col("_o")).drop("_h", "_b", "_o")
+    return rows.join(offsets, [*strata, "_b"]).withColumn("rank", F.row_number().over(own) + F.col("_o")).drop("_h", "_b", "_o")
 
 
 def by_subject(patients: DataFrame, n: int = 10, strata: str = "y_patient", seed: int = 42, method: str = "exact") -> DataFrame:
@@ -54,7 +55,7 @@ def rotation(spark: SparkSession, n: int = 10, n_val: int = 1) -> DataFrame:
     return i.crossJoin(F.broadcast(f)).select("iter", "fold", F.when(ahead == 0, "test").when(ahead <= n_val, "validation").otherwise("train").alias("role"))
 
 
-def balance(rows: DataFrame, label: str = "y_return", key: str = "visit_id", seed: int = 42, iteration: int = 0, by: list[str] | None = None, roles: tuple[str, ...] | None = None, method: str = "exact") -> DataFrame:
+def balance(rows: DataFrame, label: str = "y_return", key: str = "visit_id", seed: int = 42, iteration: int | Column = 0, by: list[str] | None = None, roles: tuple[str, ...] | None = None, method: str = "exact") -> DataFrame:
     """All positives and, in each group of ``by``, as many negatives in hash order of (key, seed, iteration).
 
     ``roles``: only rows of these roles are balanced, the rest is kept whole. ``threshold`` takes negatives below a hash
@@ -63,7 +64,7 @@ def balance(rows: DataFrame, label: str = "y_return", key: str = "visit_id", see
     groups = by or []
     scope = F.col("role").isin(*roles) if roles else F.lit(True)
     wanted = rows.filter(scope).groupBy(*groups).agg(F.sum(label).alias("_p"), F.count("*").alias("_all")) if groups else rows.filter(scope).agg(F.sum(label).alias("_p"), F.count("*").alias("_all"))
-    mark = f"{seed}/{iteration}"
+    mark = F.concat(F.lit(f"{seed}/"), iteration.cast("string")) if isinstance(iteration, Column) else f"{seed}/{iteration}"
     joined = (lambda d: d.join(F.broadcast(wanted), groups)) if groups else (lambda d: d.join(F.broadcast(wanted)))
     inside = rows.filter(scope)
     positive, negative = inside.filter(F.col(label) == 1), inside.filter(F.col(label) == 0)

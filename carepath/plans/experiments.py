@@ -1,13 +1,18 @@
 """Experiment configurations and their runs: one configuration is one row of a results table.
 
 A run builds the visits with the features it names and nothing else, deals folds, balances, trains one model per rotation, scores
-the test part, merges chunks, and measures. ``Scale`` holds what is smaller here than in production: widths, epochs,
-rotations.
+the test part, merges chunks, and measures. Encounters, code lists, chunk vectors, concept vectors, windows and folds are each
+made once, written, and read by every configuration and rotation (``Prepared``). Folds are dealt once from all encounters, so that a
+visit encoder and the sequence model on its vectors see the same parts. ``Scale`` holds what is smaller here than in
+production: widths, epochs, rotations.
 """
 
 from __future__ import annotations
 
+import threading
 import time
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -16,6 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from carepath.functions import scoring
+from carepath.functions.vectors import pool
 from carepath.measures import metrics
 from carepath.models import encoders
 from carepath.models import train as TR
@@ -23,6 +29,7 @@ from carepath.models.nets import Batch, FeatureSpec, TrajectoryModel, VisitModel
 from carepath.operators import codes as C
 from carepath.operators import cohorts, folds, notes, sequences, temporal
 from carepath.sources import retail
+from carepath.sources.stores import written
 
 
 @dataclass(frozen=True)
@@ -33,7 +40,8 @@ class Scale:
     rotations: tuple[int, ...] = (0,)
     rate: float = 3e-3
     batch: int = 64
-    mode: str = "driver"
+    #: grouped: all rotations side by side in tasks; else one after the other as in ``models.train``.
+    mode: str = "grouped"
 
 
 @dataclass(frozen=True)
@@ -43,7 +51,7 @@ class Config:
     features: str = "gap+stay"
     #: Vocabulary of diagnoses: grp or parent.
     level: str = "grp"
-    folds: str = "subject"  # subject, visit, visit5, holdout
+    folds: str = "subject"  # subject, visit, visit5, labels, holdout
     balance: str | None = "iteration"  # iteration, once, None
     encoder: str = "frozen"  # frozen, tuned_train, tuned_all
     target: str = "next"  # or current
@@ -54,60 +62,142 @@ class Config:
     layers: int = 1
     bidirectional: bool = False
     window: int = 3
-    source: str = "vector"  # or multi_hot
+    source: str = "vector"  # or multi_hot, concepts
     samples: str = "sliding"  # or prefixes
     head: str = "sigmoid"
+    #: Only visits that end a window of so many visits, for comparison with models on windows.
+    targets_of: int | None = None
     scale: Scale = Scale()
 
 
-# ---------------------------------------------------------------- rows of features
+# ---------------------------------------------------------------- tables made once
+
+
+class Prepared:
+    """Tables of one input, each made at its first use, written to the shared folder and read from then on."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str):
+        self.spark, self.sf_dir = spark, sf_dir
+        self._made: dict[tuple, object] = {}
+        self._lock = threading.RLock()
+        self._locks: dict[tuple, threading.RLock] = {}
+
+    def once(self, key: tuple, make: Callable[[], object]):
+        """What ``make`` gave for this key the first time; a frame is written. Other keys can be made meanwhile."""
+        with self._lock:
+            own = self._locks.setdefault(key, threading.RLock())
+        with own:
+            if key not in self._made:
+                found = make()
+                self._made[key] = written(found) if isinstance(found, DataFrame) else found
+            return self._made[key]
+
+    def encounters(self) -> DataFrame:
+        """subject_id, visit_id, admit_ts, gap, stay, y_return of every visit."""
+
+        def make() -> DataFrame:
+            enc = temporal.return_label(temporal.stay_length(temporal.prior_gap(retail.encounters(self.spark, self.sf_dir), first_fill=365)))
+            return enc.select("subject_id", "visit_id", "admit_ts", F.col("gap_days").cast("double").alias("gap"), F.col("stay_days").cast("double").alias("stay"), "y_return")
+
+        return self.once(("encounters",), make)
+
+    def codes(self, kind: str, level: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+        """(visit_id, codes) at a level, its vocabulary, and (visit_id, ids)."""
+        column = "concept" if kind == "M" else level
+
+        def mapped() -> DataFrame:
+            events = retail.code_events(self.spark, self.sf_dir, kind)
+            if kind == "M":
+                events = events.withColumn("code", F.substring_index("code", "-", 1))
+            return C.map_codes(events, self.dictionary(kind), column)
+
+        lists = self.once(("codes", kind, column), lambda: C.ordered_list(mapped(), distinct=True))
+        vocab = self.once(("vocabulary", kind, column), lambda: C.vocabulary(mapped()))
+        return lists, vocab, self.once(("ids", kind, column), lambda: C.ids(lists, vocab))
+
+    def dictionary(self, kind: str) -> DataFrame:
+        return retail.code_dict(self.spark, self.sf_dir, "P" if kind == "P" else "D")
+
+    def concepts(self, kind: str, level: str, d: int) -> DataFrame:
+        """(code, vec): the store of concept vectors that every configuration of this width looks up."""
+        column = "concept" if kind == "M" else level
+        named = self.dictionary(kind).groupBy(F.col(column).alias("code")).agg(F.min("description").alias("description"))
+        return self.once(("concepts", kind, column, d), lambda: encoders.concept_table(named, encoders.HashedProjection(d)))
+
+    def chunks(self) -> DataFrame:
+        return self.once(("chunks",), lambda: chunks(self.spark, self.sf_dir))
+
+    def chunk_vectors(self, d: int) -> DataFrame:
+        """(visit_id, chunk_no, text): the frozen encoder's store; text is encoded once, whatever the epochs and rotations."""
+        return self.once(("chunk vectors", d), lambda: _vectors(self.chunks(), encoders.HashedProjection(d)))
+
+    def dealt(self, cfg: Config) -> DataFrame:
+        """Folds of all encounters: (subject_id, fold), (visit_id, fold), or (visit_id, run, role) where parts are drawn for each rotation."""
+        enc = self.encounters()
+
+        def make() -> DataFrame:
+            if cfg.folds == "subject":
+                return folds.by_subject(enc.groupBy("subject_id").agg(F.max("y_return").alias("y_patient")), 10).select("subject_id", "fold")
+            if cfg.folds in ("visit", "visit5"):
+                return folds.by_visit(enc, 5 if cfg.folds == "visit5" else 10).select("visit_id", "fold")
+            if cfg.folds == "holdout":
+                return folds.random_holdout(enc, runs=3).select("visit_id", "run", F.when(F.col("split") == "train", "train").otherwise("test").alias("role"))
+            samples = self.codes("D", cfg.level)[0].select(F.col("visit_id").alias("key"), F.col("codes").alias("labels"))
+            each = [folds.iterative_label_split(samples, {"train": 8, "validation": 1, "test": 1}, seed=42 + i).select(F.col("key").alias("visit_id"), F.lit(i).alias("run"), F.col("split").alias("role")) for i in range(10)]
+            out = each[0]
+            for e in each[1:]:
+                out = out.unionByName(e)
+            return out
+
+        return self.once(("folds", cfg.folds, cfg.level if cfg.folds == "labels" else None), make)
 
 
-def _codes(spark: SparkSession, sf_dir: str, kind: str, level: str) -> tuple[DataFrame, DataFrame]:
-    """(visit_id, codes) at a level, and its vocabulary."""
-    events = retail.code_events(spark, sf_dir, kind)
-    if kind == "M":
-        events = events.withColumn("code", F.substring_index("code", "-", 1))
-    dictionary = retail.code_dict(spark, sf_dir, "P" if kind == "P" else "D")
-    mapped = C.map_codes(events, dictionary, "concept" if kind == "M" else level)
-    return C.ordered_list(mapped, distinct=True), C.vocabulary(mapped)
+# ---------------------------------------------------------------- rows of features
 
 
-def visits(spark: SparkSession, sf_dir: str, cfg: Config) -> tuple[DataFrame, dict]:
-    """One row per visit (per note chunk with text): ids, features, sparse labels; and tables, sizes and class number."""
-    spec, info = FeatureSpec.of(cfg.features), {"tables": {}, "sizes": {}}
-    enc = temporal.return_label(temporal.stay_length(temporal.prior_gap(retail.encounters(spark, sf_dir), first_fill=365)))
-    enc = enc.select("subject_id", "visit_id", "admit_ts", F.col("gap_days").cast("double").alias("gap"), F.col("stay_days").cast("double").alias("stay"), "y_return")
+def visits(prep: Prepared, cfg: Config) -> tuple[DataFrame, dict]:
+    """One row per visit: ids, features but text, sparse labels; and concept matrices, sizes and class number."""
+    spec, info = FeatureSpec.of(cfg.features), {"tables": {}, "sizes": {}, "n_classes": 1, "first": 0}
+    kinds = [(name, kind) for name, kind in (("dx", "D"), ("proc", "P"), ("med", "M")) if getattr(spec, name)]
+    for name, kind in kinds:
+        lists, vocab, _ = prep.codes(kind, cfg.level)
+        column = "concept" if kind == "M" else cfg.level
+        info["sizes"][name] = prep.once(("longest", kind, column), lambda lists=lists: lists.agg(F.max("n_codes")).first()[0])
+        info["tables"][name] = prep.once(("matrix", kind, column, cfg.scale.d), lambda kind=kind, vocab=vocab: encoders.matrix(prep.concepts(kind, cfg.level, cfg.scale.d), vocab, cfg.scale.d))
     if cfg.task == "codes":
-        lists, vocab = _codes(spark, sf_dir, cfg.target_kind, cfg.level)
-        if cfg.target == "next":
-            enc = cohorts.next_codes_label(enc, lists).drop("codes", "next_visit").withColumnRenamed("next_codes", "_target")
+        vocab = prep.codes(cfg.target_kind, cfg.level)[1]
+        info["n_classes"], info["first"] = prep.once(("classes", cfg.target_kind, cfg.level), vocab.count), C.FIRST_ID
+
+    def make() -> DataFrame:
+        enc = prep.encounters()
+        if cfg.targets_of:
+            ends = sequences.sliding(enc, cfg.targets_of).select(F.element_at(F.filter("visit_ids", lambda v: v.isNotNull()), -1).alias("visit_id"))
+            enc = enc.join(ends, "visit_id", "left_semi")
+        if cfg.task == "codes":
+            lists, _, ids = prep.codes(cfg.target_kind, cfg.level)
+            if cfg.target == "next":
+                following = cohorts.next_codes_label(prep.encounters(), lists).select("visit_id", F.col("next_visit").alias("_next"))
+                enc = enc.join(following, "visit_id").join(ids.select(F.col("visit_id").alias("_next"), F.col("ids").alias("y")), "_next").drop("_next")
+            else:
+                enc = enc.join(ids.select("visit_id", F.col("ids").alias("y")), "visit_id")
         else:
-            enc = enc.join(lists.select("visit_id", F.col("codes").alias("_target")), "visit_id")
-        y = C.ids(enc.select("visit_id", F.col("_target").alias("codes")), vocab).withColumnRenamed("ids", "y")
-        enc = enc.drop("_target").join(y, "visit_id")
-        info["n_classes"], info["first"] = vocab.count(), C.FIRST_ID
-    else:
-        enc = enc.withColumn("y", F.when(F.col("y_return") == 1, F.array(F.lit(0))).otherwise(F.array().cast("array<int>")))
-        info["n_classes"], info["first"] = 1, 0
-    for name, kind in (("dx", "D"), ("proc", "P"), ("med", "M")):
-        if getattr(spec, name):
-            lists, vocab = _codes(spark, sf_dir, kind, cfg.level)
-            size = lists.agg(F.max("n_codes")).first()[0]
-            sparse = C.ids(lists, vocab).select("visit_id", F.slice(F.concat("ids", F.array_repeat(F.lit(0), size)), 1, size).alias(name))
+            enc = enc.withColumn("y", F.when(F.col("y_return") == 1, F.array(F.lit(0))).otherwise(F.array().cast("array<int>")))
+        for name, kind in kinds:
+            size = info["sizes"][name]
+            sparse = prep.codes(kind, cfg.level)[2].select("visit_id", F.slice(F.concat("ids", F.array_repeat(F.lit(0), size)), 1, size).alias(name))
             enc = enc.join(sparse, "visit_id", "left").withColumn(name, F.coalesce(name, F.array_repeat(F.lit(0), size)))
-            dictionary = retail.code_dict(spark, sf_dir, "P" if kind == "P" else "D")
-            column = "concept" if kind == "M" else cfg.level
-            named = dictionary.groupBy(F.col(column).alias("code")).agg(F.min("description").alias("description"))
-            info["tables"][name] = encoders.matrix(encoders.concept_table(named, encoders.HashedProjection(cfg.scale.d)), vocab, cfg.scale.d)
-            info["sizes"][name] = size
-    return enc, info
+        return enc
+
+    return prep.once(("visits", cfg.task, cfg.target, cfg.target_kind, cfg.level, tuple(kinds), cfg.targets_of), make), info
+
+
+def _vectors(chunked: DataFrame, encoder: encoders.HashedProjection) -> DataFrame:
+    return encoders.encode_text(chunked, encoder).select("visit_id", "chunk_no", F.col("vec").alias("text"))
 
 
-def with_text(rows: DataFrame, spark: SparkSession, sf_dir: str, encoder: encoders.HashedProjection) -> DataFrame:
+def with_text(rows: DataFrame, vectors: DataFrame, d: int) -> DataFrame:
     """A row per chunk of the visit's note; visits without a note have one row with a vector of zeros."""
-    vectors = encoders.encode_text(chunks(spark, sf_dir), encoder).select("visit_id", "chunk_no", F.col("vec").alias("text"))
-    zero = F.array_repeat(F.lit(0.0).cast("float"), encoder.d)
+    zero = F.array_repeat(F.lit(0.0).cast("float"), d)
     return rows.join(vectors, "visit_id", "left").withColumns({"chunk_no": F.coalesce("chunk_no", F.lit(0)), "text": F.coalesce("text", zero)})
 
 
@@ -161,46 +251,40 @@ def window_batch(n_classes: int, first: int, width: int, k: int | None, multi_ho
     return build
 
 
-# ---------------------------------------------------------------- folds and roles
+# ---------------------------------------------------------------- roles
 
 
-def roles(rows: DataFrame, spark: SparkSession, cfg: Config, rotation: int) -> DataFrame:
-    """``rows`` with their role in one rotation; small tables of folds and roles are broadcast where they are small."""
-    label = "y_return"
-    if cfg.folds == "holdout":
-        split = folds.random_holdout(rows.select("visit_id").distinct(), runs=rotation + 1).filter(F.col("run") == rotation).drop("run")
-        return rows.join(split.withColumn("role", F.when(F.col("split") == "train", "train").otherwise("test")).drop("split"), "visit_id")
-    n = 5 if cfg.folds == "visit5" else 10
-    turn = folds.rotation(spark, n).filter(F.col("iter") == rotation).drop("iter")
-    if cfg.folds == "subject":
-        patients = rows.groupBy("subject_id").agg(F.max(label).alias("y_patient"))
-        dealt = folds.by_subject(patients, n).select("subject_id", "fold")
-        return rows.join(dealt, "subject_id").join(F.broadcast(turn), "fold")
-    dealt = folds.by_visit(rows.select("visit_id", label).distinct(), n).select("visit_id", "fold")
-    return rows.join(dealt, "visit_id").join(F.broadcast(turn), "fold")
+def turns(cfg: Config) -> int:
+    """Rotations that the fold scheme has."""
+    return {"visit5": 5, "holdout": 3}.get(cfg.folds, 10)
 
 
-def balanced(rows: DataFrame, cfg: Config, rotation: int) -> DataFrame:
-    if cfg.balance is None:
-        return rows
-    iteration, by = (rotation, ["role"]) if cfg.balance == "iteration" else (0, None)
-    return folds.balance(rows, by=by, iteration=iteration) if by else folds.balance_once(rows)
+def roles(rows: DataFrame, prep: Prepared, cfg: Config) -> DataFrame:
+    """``rows`` with rotation and role, once for each of the configuration's rotations; the folds are the same for every table of this input."""
+    dealt, wanted = prep.dealt(cfg), F.col("rotation").isin(*cfg.scale.rotations)
+    if cfg.folds in ("holdout", "labels"):
+        return rows.join(dealt.withColumnRenamed("run", "rotation").filter(wanted), "visit_id")
+    turn = folds.rotation(prep.spark, turns(cfg)).withColumnRenamed("iter", "rotation").filter(wanted)
+    return rows.join(dealt, "subject_id" if cfg.folds == "subject" else "visit_id").join(F.broadcast(turn), "fold").drop("fold")
+
+
+def balanced(rows: DataFrame, cfg: Config) -> DataFrame:
+    """All positives and as many negatives in each part of a rotation."""
+    return folds.balance(rows, by=["rotation", "role"], iteration=F.col("rotation")) if cfg.balance == "iteration" else rows
 
 
 # ---------------------------------------------------------------- one configuration
 
 
-def run(spark: SparkSession, sf_dir: str, cfg: Config) -> DataFrame:
-    """One row per rotation: config, rotation, rows used, steps, seconds and the task's measures."""
-    out = None
-    for rotation in cfg.scale.rotations:
-        began = time.time()
-        scores, used, steps = _sequence_scores(spark, sf_dir, cfg, rotation) if cfg.cell else _visit_scores(spark, sf_dir, cfg, rotation)
-        ks = (10, 20, 30) if cfg.level == "parent" else (3, 5, 10)
-        measured = metrics.suite(scores, "binary") if cfg.task == "return" else metrics.suite(scores, "multilabel", ks)
-        row = measured.select(F.lit(cfg.name).alias("config"), F.lit(rotation).alias("rotation"), F.lit(used).alias("train_rows"), F.lit(steps).alias("steps"), F.lit(round(time.time() - began, 2)).alias("seconds"), *measured.columns)
-        out = row if out is None else out.unionByName(row)
-    return out
+@dataclass
+class Trained:
+    """What a configuration's rotations gave: (rotation, sample_id, class_id, y, p) and a row of ``told`` for each."""
+
+    scores: DataFrame
+    told: DataFrame
+    model: VisitModel | TrajectoryModel
+    rows: DataFrame
+    build: Callable[[pa.Table], Batch]
 
 
 def spec_of(cfg: Config) -> TR.TrainSpec:
@@ -208,100 +292,217 @@ def spec_of(cfg: Config) -> TR.TrainSpec:
     return TR.TrainSpec(batch=s.batch, epochs=s.epochs, rate=s.rate, mode=s.mode)
 
 
-def fitted_visit_model(spark: SparkSession, sf_dir: str, cfg: Config, rotation: int) -> tuple[VisitModel, DataFrame, object, int, int]:
-    """The trained model, all rows with roles, the batch builder, training rows and steps."""
+def leaked_subjects(seen: DataFrame, tested: DataFrame) -> DataFrame:
+    """(rotation, leaked): patients of ``tested`` that ``seen`` has too; both (rotation, subject_id)."""
+    return tested.distinct().join(seen.distinct(), ["rotation", "subject_id"], "left_semi").groupBy("rotation").agg(F.count("*").alias("leaked"))
+
+
+def _held(cfg: Config) -> str:
+    return "test" if cfg.folds == "holdout" else "validation"
+
+
+_TOLD = ["rotation", "train_rows", "steps", "history", "weights", "low", "high"]
+
+
+def trained(cfg: Config, model, rows: DataFrame, build, scaled: list[str]) -> Trained:
+    """Every rotation of ``rows`` (rotation, role, subject_id, sample_id and what a batch takes)."""
+    spec = spec_of(cfg)
+    columns = [c for c in rows.columns if c not in ("subject_id", "visit_id")]
+    most = rows.groupBy("rotation").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+    if cfg.scale.mode == "grouped" and most <= spec.driver_rows:
+        made = written(TR.fit_groups(model, rows.select(*columns), build, spec, _held(cfg), tuple(scaled)))
+        return Trained(made.filter("sample_id IS NOT NULL").select("rotation", "sample_id", "class_id", "y", "p"), made.filter("sample_id IS NULL").select(*_TOLD), model, rows, build)
+    # Beyond what a task holds: one rotation after the other, each trained by all tasks.
+    scores, told, start = [], [], model.get()
+    spec = replace(spec, mode="local" if cfg.scale.mode == "grouped" else cfg.scale.mode)
+    for rotation in cfg.scale.rotations:
+        own, fit = rows.filter(F.col("rotation") == rotation), None
+        if scaled:
+            fit = temporal.fit_minmax(own, scaled, F.col("role") == "train")
+            own = scaled_by(own, fit)
+        part = lambda role, own=own: own.filter(F.col("role") == role).select(*(c for c in columns if c not in ("rotation", "role")))
+        model.set(start.copy())
+        fitted = TR.fit(model, part("train"), part(_held(cfg)), build, spec)
+        scores.append(written(TR.score(model, part("test"), build).select(F.lit(rotation).alias("rotation"), "sample_id", "class_id", "y", "p")))
+        low, high = ([float(fit.bounds[c][i] or 0) for c in scaled] for i in (0, 1))
+        told.append((rotation, part("train").count(), fitted.steps, fitted.history, model.get().tobytes(), low, high))
+    out = scores[0]
+    for x in scores[1:]:
+        out = out.unionByName(x)
+    kinds = "rotation int, train_rows long, steps int, history array<struct<step:int,training:double,held:double>>, weights binary, low array<double>, high array<double>"
+    return Trained(out, rows.sparkSession.createDataFrame(told, kinds), model, rows, build)
+
+
+def scaled_by(rows: DataFrame, fit: temporal.MinMax) -> DataFrame:
+    return temporal.apply_minmax(rows, fit).drop(*fit.bounds).withColumnsRenamed({f"{c}_scaled": c for c in fit.bounds})
+
+
+def visit_models(prep: Prepared, cfg: Config) -> Trained:
+    """Each rotation's model is trained on its training part; time features are scaled and a tuned text encoder is fitted by that part alone, unless the configuration says otherwise."""
     features = FeatureSpec.of(cfg.features)
-    base, info = visits(spark, sf_dir, cfg)
-    if cfg.balance == "once":
-        base = balanced(base, cfg, rotation)
-    rows = roles(base, spark, cfg, rotation)
-    if cfg.balance == "iteration":
-        rows = balanced(rows, cfg, rotation)
-    scaled = [c for c in ("gap", "stay") if c in features.names]
-    if scaled:
-        fit = temporal.fit_minmax(rows, scaled, F.col("role") == "train")
-        rows = temporal.apply_minmax(rows, fit)
-        rows = rows.drop(*scaled).withColumnsRenamed({f"{c}_scaled": c for c in scaled})
+    base, info = visits(prep, cfg)
+    rows = balanced(roles(folds.balance_once(base) if cfg.balance == "once" else base, prep, cfg), cfg)
     if features.text:
-        if cfg.encoder == "frozen":
-            encoder = encoders.HashedProjection(cfg.scale.d)
-        else:
-            fit_on = rows if cfg.encoder == "tuned_all" else rows.filter("role = 'train'")
-            encoder = encoders.label_tuned(chunks(spark, sf_dir).join(fit_on.select("visit_id", "y_return"), "visit_id"), "y_return", cfg.scale.d)
-        rows = with_text(rows, spark, sf_dir, encoder)
-    rows = rows.withColumn("sample_id", F.col("visit_id"))
+        rows = written(rows)
+        rows = with_text(rows, prep.chunk_vectors(cfg.scale.d), cfg.scale.d) if cfg.encoder == "frozen" else _with_tuned_text(rows, prep, cfg)
+    rows = written(rows.withColumn("sample_id", F.col("visit_id")).select("rotation", "role", "subject_id", "visit_id", "sample_id", *(["chunk_no"] if features.text else []), *features.names, "y"))
     build = as_batch(features.names, info["n_classes"], info["first"])
     model = VisitModel(features, info["n_classes"], info["tables"], info["sizes"], cfg.scale.d, cfg.scale.temporal_width, head=cfg.head)
-    columns = ["sample_id", *features.names, "y"]
-    part = lambda role: rows.filter(F.col("role") == role).select(*columns)
-    held = part("validation" if cfg.folds != "holdout" else "test")
-    fitted = TR.fit(model, part("train"), held, build, spec_of(cfg))
-    return model, rows, build, rows.filter("role = 'train'").count(), fitted.steps
+    out = trained(cfg, model, rows, build, [c for c in ("gap", "stay") if c in features.names])
+    if features.text:  # a visit has a row per chunk
+        merged = [scoring.merge_chunks(out.scores.filter(F.col("rotation") == i)).select(F.lit(i).alias("rotation"), "sample_id", "class_id", "y", "p") for i in cfg.scale.rotations]
+        for m in merged[1:]:
+            merged[0] = merged[0].unionByName(m)
+        out.scores = merged[0]
+    return out
 
 
-def _visit_scores(spark: SparkSession, sf_dir: str, cfg: Config, rotation: int) -> tuple[DataFrame, int, int]:
-    model, rows, build, used, steps = fitted_visit_model(spark, sf_dir, cfg, rotation)
-    test = rows.filter("role = 'test'").select("sample_id", *model.spec.names, "y")
-    return scoring.merge_chunks(TR.score(model, test, build)), used, steps
+def _with_tuned_text(rows: DataFrame, prep: Prepared, cfg: Config) -> DataFrame:
+    out = None
+    for i in cfg.scale.rotations:
+        own = rows.filter(F.col("rotation") == i)
+        fit_on = own if cfg.encoder == "tuned_all" else own.filter("role = 'train'")
+        tuned = encoders.label_tuned(prep.chunks().join(fit_on.select("visit_id", "y_return"), "visit_id"), "y_return", cfg.scale.d)
+        part = with_text(own, _vectors(prep.chunks(), tuned), cfg.scale.d)
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
-def _sequence_scores(spark: SparkSession, sf_dir: str, cfg: Config, rotation: int) -> tuple[DataFrame, int, int]:
-    """Windows over fused vectors of a visit model of the same rotation, or over sparse codes; targets as in the task."""
-    lists, vocab = _codes(spark, sf_dir, cfg.target_kind, cfg.level)
-    n_classes = vocab.count()
-    enc = temporal.return_label(temporal.stay_length(temporal.prior_gap(retail.encounters(spark, sf_dir), first_fill=365)))
-    if cfg.source == "vector":
-        own = replace(cfg, cell=None, balance=None if cfg.task == "codes" else cfg.balance)
-        model, rows, build, _, _ = fitted_visit_model(spark, sf_dir, own, rotation)
-        width = model.spec.width(cfg.scale.d, cfg.scale.temporal_width)
-        every, _ = visits(spark, sf_dir, replace(own, task="return"))
-        scaled = [c for c in ("gap", "stay") if c in model.spec.names]
-        if scaled:
-            every = temporal.apply_minmax(every, temporal.fit_minmax(every.join(rows.filter("role = 'train'").select("visit_id").distinct(), "visit_id", "left_semi"), scaled)).drop(*scaled).withColumnsRenamed({f"{c}_scaled": c for c in scaled})
-        vectors = TR.extract(model, every.select("visit_id", *model.spec.names, "y"), build, cfg.name)
-        ready = sequences.attach(enc, vectors, cfg.name, model.spec.text).withColumnRenamed("h", "step")
-    else:
-        width = n_classes
-        ready = sequences.attach_multi_hot(enc, C.ids(lists, vocab)).withColumnRenamed("x", "step")
+def visit_vectors(prep: Prepared, cfg: Config) -> tuple[DataFrame, int, DataFrame]:
+    """(rotation, visit_id, h) of all visits by each rotation's visit model, stored once for every sequence model on it; the width; and the encoder's (rotation, role, subject_id)."""
+    own = replace(cfg, name="visit vectors", cell=None, hidden=0, layers=1, bidirectional=False, window=0, samples="", balance=None if cfg.task == "codes" else cfg.balance)
+
+    def make() -> tuple[DataFrame, int, DataFrame]:
+        t = visit_models(prep, own)
+        every, _ = visits(prep, replace(own, task="return", targets_of=None))
+        if t.model.spec.text:
+            every = with_text(every, prep.chunk_vectors(cfg.scale.d), cfg.scale.d)
+        columns, out = [c for c in ("gap", "stay") if c in t.model.spec.names], None
+        for r in t.told.select("rotation", "weights", "low", "high").collect():
+            t.model.set(np.frombuffer(r["weights"]).copy())
+            ready = scaled_by(every, temporal.MinMax(dict(zip(columns, zip(r["low"], r["high"], strict=True), strict=True)))) if columns else every
+            h = TR.extract(t.model, ready.select("visit_id", *t.model.spec.names, "y"), t.build, "visit vectors").select("visit_id", "h")
+            if t.model.spec.text:  # one vector per visit: the mean of its chunks'
+                h = pool(h, "visit_id", "h", "mean").withColumnRenamed("vec", "h")
+            part = h.select(F.lit(r["rotation"]).alias("rotation"), "visit_id", "h")
+            out = part if out is None else out.unionByName(part)
+        return written(out), t.model.spec.width(cfg.scale.d, cfg.scale.temporal_width), written(t.rows.select("rotation", "role", "subject_id").distinct())
+
+    return prep.once(("visit vectors", own), make)
+
+
+def windows(prep: Prepared, cfg: Config, ready: DataFrame) -> DataFrame:
+    """(subject_id, sample_id, visit_id, steps, mask, y): samples of visits with ``step``, and their targets."""
     if cfg.samples == "prefixes":
-        k = None
-        windows = sequences.prefixes(ready, carry=["step"]).withColumn("mask", F.transform("visit_ids", lambda v: F.lit(True)))
+        made = sequences.prefixes(ready, carry=["step"]).withColumn("mask", F.transform("visit_ids", lambda v: F.lit(True)))
     else:
-        k = cfg.window
-        windows = sequences.sliding(ready, k, carry=["step"], last_visit="keep" if cfg.task == "return" else "drop")
+        made = sequences.sliding(ready, cfg.window, carry=["step"], last_visit="keep" if cfg.task == "return" else "drop")
     if cfg.task == "return":
-        labels = enc.select(F.col("visit_id").alias("target_visit"), F.when(F.col("y_return") == 1, F.array(F.lit(0))).otherwise(F.array().cast("array<int>")).alias("y"))
-        n_classes, first = 1, 0
+        labels = prep.encounters().select(F.col("visit_id").alias("target_visit"), F.when(F.col("y_return") == 1, F.array(F.lit(0))).otherwise(F.array().cast("array<int>")).alias("y"))
     else:
-        labels, first = C.ids(lists, vocab).select(F.col("visit_id").alias("target_visit"), F.col("ids").alias("y")), C.FIRST_ID
-    rows = windows.join(labels, "target_visit").select("subject_id", F.col("target_visit").alias("sample_id"), F.col("target_visit").alias("visit_id"), F.col("step").alias("steps"), "mask", "y")
-    rows = rows.join(enc.select("visit_id", "y_return"), "visit_id")
-    rows = roles(rows, spark, cfg, rotation)
-    build = window_batch(n_classes, first, width, k, cfg.source == "multi_hot")
+        labels = prep.codes(cfg.target_kind, cfg.level)[2].select(F.col("visit_id").alias("target_visit"), F.col("ids").alias("y"))
+    return made.join(labels, "target_visit").select("subject_id", F.col("target_visit").alias("sample_id"), F.col("target_visit").alias("visit_id"), F.col("step").alias("steps"), "mask", "y")
+
+
+def sequence_models(prep: Prepared, cfg: Config) -> Trained:
+    """Windows over vectors of a visit model of the same rotation, over sums of concept vectors, or over sparse codes; targets as in the task."""
+    _, vocab, ids = prep.codes(cfg.target_kind, cfg.level)
+    n_vocab = prep.once(("classes", cfg.target_kind, cfg.level), vocab.count)
+    n_classes, first = (1, 0) if cfg.task == "return" else (n_vocab, C.FIRST_ID)
+    enc = prep.encounters()
+    if cfg.source == "vector":
+        vectors, width, _ = visit_vectors(prep, cfg)
+        rows = None
+        for i in cfg.scale.rotations:
+            ready = enc.join(vectors.filter(F.col("rotation") == i).select("visit_id", F.col("h").alias("step")), "visit_id")
+            part = roles(windows(prep, cfg, ready), prep, replace(cfg, scale=replace(cfg.scale, rotations=(i,))))
+            rows = part if rows is None else rows.unionByName(part)
+    elif cfg.source == "concepts":  # a visit is the sum of its codes' concept vectors
+        width = cfg.scale.d
+        summed = prep.once(("summed concepts", cfg.level, width), lambda: encoders.multi_hot_concept(ids, vocab, prep.concepts("D", cfg.level, width)))
+        step = summed.select("visit_id", F.col("vec").cast("array<double>").alias("step"))
+        ready = enc.join(step, "visit_id", "left").withColumn("step", F.coalesce("step", F.array_repeat(F.lit(0.0), width)))
+        rows = roles(windows(prep, cfg, ready), prep, cfg)
+    else:
+        width = n_vocab
+        made = prep.once(("windows", cfg.task, cfg.target_kind, cfg.level, cfg.window, cfg.samples), lambda: windows(prep, cfg, sequences.attach_multi_hot(enc, ids).withColumnRenamed("x", "step")))
+        rows = roles(made, prep, cfg)
+    rows = written(rows)
+    build = window_batch(n_classes, first, width, None if cfg.samples == "prefixes" else cfg.window, cfg.source == "multi_hot")
     net = TrajectoryModel(width, n_classes, cfg.cell, cfg.hidden, cfg.layers, cfg.bidirectional, head=cfg.head)
-    columns = ["sample_id", "steps", "mask", "y"]
-    part = lambda role: rows.filter(F.col("role") == role).select(*columns)
-    fitted = TR.fit(net, part("train"), part("validation" if cfg.folds != "holdout" else "test"), build, spec_of(cfg))
-    return TR.score(net, part("test"), build), rows.filter("role = 'train'").count(), fitted.steps
+    return trained(cfg, net, rows, build, [])
 
 
-def in_full(configs: list[Config]) -> list[Config]:
-    """Configurations with every rotation of their folds: ten, five of ``visit5``, three holdouts."""
-    turns = {"visit5": 5, "holdout": 3}
-    return [replace(c, scale=replace(c.scale, rotations=tuple(range(turns.get(c.folds, 10))))) for c in configs]
+def audited(prep: Prepared, cfg: Config, t: Trained) -> DataFrame:
+    """(rotation, leaked): test patients that a model of the run was trained or stopped on, the visit encoder below it included."""
+    seen = t.rows.filter(F.col("role") != "test").select("rotation", "subject_id")
+    if cfg.cell and cfg.source == "vector":
+        seen = seen.unionByName(visit_vectors(prep, cfg)[2].filter(F.col("role") != "test").select("rotation", "subject_id"))
+    return leaked_subjects(seen, t.rows.filter("role = 'test'").select("rotation", "subject_id"))
+
+
+#: Configurations run side by side; their Spark jobs interleave.
+TURNS = 4
+
+
+def runs(spark: SparkSession, sf_dir: str, configs: list[Config], prep: Prepared | None = None) -> DataFrame:
+    """One row per configuration and rotation: rows and steps of training, the loss curve, the audits, and the task's measures."""
+    prep = prep or Prepared(spark, sf_dir)
+
+    def one(cfg: Config) -> tuple[DataFrame, DataFrame]:
+        began = time.time()
+        t = (sequence_models if cfg.cell else visit_models)(prep, cfg)
+        told = t.told.drop("weights", "low", "high").join(audited(prep, cfg, t), "rotation", "left").fillna(0, ["leaked"])
+        # An encoder tuned on every row was fitted on all that is tested.
+        fitted_on = F.lit(cfg.encoder == "tuned_all" and "text" in cfg.features.split("+"))
+        told = told.select(F.lit(cfg.name).alias("config"), "*", fitted_on.alias("encoder_leak"), F.lit(round(time.time() - began, 2)).alias("seconds"))
+        return t.scores.select(F.lit(cfg.name).alias("config"), "rotation", "sample_id", "class_id", "y", "p"), told
+
+    out = None
+    for task, level in sorted({(c.task, c.level) for c in configs}):
+        own = [c for c in configs if (c.task, c.level) == (task, level)]
+        with ThreadPoolExecutor(TURNS) as workers:
+            made = list(workers.map(one, own))
+        scores, told = made[0]
+        for s, t in made[1:]:
+            scores, told = scores.unionByName(s), told.unionByName(t)
+        ks = (10, 20, 30) if level == "parent" else (3, 5, 10)
+        measured = metrics.suite(scores, "binary" if task == "return" else "multilabel", ks, per=["config", "rotation"])
+        rows = told.join(measured, ["config", "rotation"], "left")
+        out = rows if out is None else out.unionByName(rows, allowMissingColumns=True)
+    return out
+
+
+def run_all(spark: SparkSession, sf_dir: str, configs: list[Config], prep: Prepared | None = None, log: Tracker | None = None) -> DataFrame:
+    """A results table: one row per configuration with means and deviations over its rotations, and the audits' sums. ``log`` keeps the rotations."""
+    each = written(runs(spark, sf_dir, configs, prep))
+    if log is not None:
+        log.add(each)
+    told = each.groupBy("config").agg(F.sum("leaked").alias("leaked"), F.max("encoder_leak").alias("encoder_leak"), F.sum("train_rows").alias("train_rows"))
+    return metrics.over_folds(each, "config", measures_of(each)).join(told, "config")
 
 
-def run_all(spark: SparkSession, sf_dir: str, configs: list[Config]) -> DataFrame:
-    first, *rest = (run(spark, sf_dir, c) for c in configs)
-    for r in rest:
-        first = first.unionByName(r)
-    return first
+def measures_of(each: DataFrame) -> list[str]:
+    return [c for c in each.columns if c in ("precision", "recall", "f1", "rp", "aupr", "auc") or c.startswith("recall_")]
+
+
+def in_full(configs: list[Config]) -> list[Config]:
+    """Configurations with every rotation of their folds: ten, five of ``visit5``, three holdouts."""
+    return [replace(c, scale=replace(c.scale, rotations=tuple(range(turns(c))))) for c in configs]
 
 
 def width_sweep(spark: SparkSession, sf_dir: str, widths: tuple[int, ...] = (1, 2, 5, 10, 20, 50, 100, 200, 500), scale: Scale = Scale()) -> DataFrame:
     return run_all(spark, sf_dir, [Config(f"width {w}", scale=replace(scale, temporal_width=w)) for w in widths])
 
 
+def compared(spark: SparkSession, sf_dir: str, configs: list[Config]) -> DataFrame:
+    """Each configuration's means against those of the first: differences in points and per cent."""
+    each = written(runs(spark, sf_dir, configs))
+    measures = measures_of(each)
+    means = written(metrics.over_folds(each, "config", measures).select("config", *(F.col(f"{m}_mean").alias(m) for m in measures)))
+    return metrics.compare(means, "config", configs[0].name, measures)
+
+
 def cost_report(spark: SparkSession, sf_dir: str, epochs: int) -> DataFrame:
     """(how, encoder_passes): a frozen encoder's vectors stored once against encoding in every epoch."""
     n = chunks(spark, sf_dir).agg(F.count("*").alias("c"))

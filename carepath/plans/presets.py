@@ -52,11 +52,11 @@ def text_return_comparator(scale: Scale = Scale()) -> Config:
 
 
 def text_code_comparator(scale: Scale = Scale()) -> Config:
-    return Config("text code comparator", task="codes", features="text", target="current", balance=None, folds="visit", scale=scale)
+    return Config("text code comparator", task="codes", features="text", target="current", balance=None, folds="labels", scale=scale)
 
 
-def sequence_comparator(scale: Scale = Scale()) -> Config:
-    return Config("sequence comparator", task="codes", features="dx", balance=None, cell="minimal_gru", hidden=27, bidirectional=True, source="multi_hot", samples="prefixes", head="softmax", folds="holdout", scale=scale)
+def sequence_comparator(scale: Scale = Scale(), level: str = "grp") -> Config:
+    return Config(f"sequence comparator: {level}", task="codes", level=level, features="dx", balance=None, cell="minimal_gru", hidden=27, bidirectional=True, source="multi_hot", samples="prefixes", head="softmax", folds="holdout", scale=scale)
 
 
 def return_on_sequences(scale: Scale = Scale()) -> list[Config]:
@@ -64,7 +64,18 @@ def return_on_sequences(scale: Scale = Scale()) -> list[Config]:
 
 
 def future_targets(scale: Scale = Scale()) -> list[Config]:
-    return [Config("next procedures", task="codes", features="dx+gap", target_kind="P", balance=None, scale=scale), Config("next medications", task="codes", features="dx+gap", target_kind="M", balance=None, scale=scale)]
+    codes = {"task": "codes", "balance": None, "scale": scale}
+    return [
+        Config("next procedures", features="dx+gap", target_kind="P", **codes), Config("next medications", features="dx+gap", target_kind="M", **codes),
+        Config("pooled notes in sequences", features="text+dx+gap", cell="gru", **codes),
+        Config("multi-hot by concept vectors in sequences", features="dx", cell="gru", source="concepts", **codes),
+    ]
+
+
+def same_targets(scale: Scale = Scale(), k: int = 3) -> list[Config]:
+    """The single visit first; then sequences of k visits whose samples have the same target visits."""
+    codes = {"task": "codes", "features": "dx+gap", "balance": None, "scale": scale}
+    return [Config("single visit", targets_of=k, **codes), Config("sequence of vectors", cell="gru", window=k, bidirectional=True, **codes), Config("sequence of codes", cell="gru", window=k, bidirectional=True, source="multi_hot", **codes)]
 
 
 def grid(base: Config, **options) -> list[Config]:

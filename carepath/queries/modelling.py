@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from dataclasses import replace
 
-from carepath.models import train as TR
 from carepath.plans import experiments as X
 from carepath.plans import presets as P
 from carepath.queries._registry import query
@@ -15,15 +14,14 @@ SCALE = X.Scale(d=16, epochs=2)
 @query("m_visit_model_scores")
 def _(s, d):
     cfg = X.Config("gap+stay", scale=SCALE)
-    model, rows, build, _, _ = X.fitted_visit_model(s, d, cfg, 0)
-    return TR.score(model, rows.filter("role = 'test'").select("sample_id", *model.spec.names, "y"), build)
+    return X.visit_models(X.Prepared(s, d), cfg).scores.drop("rotation")
 
 
 def _sequence_query(name, cell):
     @query(name)
     def _(s, d):
         cfg = X.Config(name, task="codes", features="dx+gap", balance=None, cell=cell, source="multi_hot", scale=SCALE)
-        return X._sequence_scores(s, d, cfg, 0)[0]
+        return X.sequence_models(X.Prepared(s, d), cfg).scores.drop("rotation")
 
 
 _sequence_query("m_gru_scores", "gru")
@@ -55,6 +53,13 @@ _table("w_tab_s", P.on_vectors(SCALE))
 _table("w_tab_m", P.on_multi_hot(SCALE))
 _table("w_return_sequences", P.return_on_sequences(SCALE))
 _table("w_future_targets", P.future_targets(SCALE))
+_table("w_seqc_parent", [P.sequence_comparator(SCALE, "parent")])
+
+
+@query("w_baseline_compare")
+def _(s, d):
+    """Single visits, windows of visit vectors and windows of multi-hot codes on the same targets."""
+    return X.compared(s, d, X.in_full(P.same_targets(SCALE)))
 
 
 @query("w_width_sweep")

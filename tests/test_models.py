@@ -1,5 +1,6 @@
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 
 from carepath.models import encoders
@@ -142,24 +143,51 @@ def test_prefix_samples_lose_no_visits(spark, monkeypatch):
     visits = [(1, i, i) for i in range(31)] + [(2, 100 + i, i) for i in range(4)]
     enc = spark.createDataFrame(visits, "subject_id long, visit_id long, day int")
     enc = enc.selectExpr("subject_id", "visit_id", "timestamp_ntz'2020-01-01' + make_interval(0, 0, 0, day) AS admit_ts", "0 AS y_return")
-    codes = enc.selectExpr("visit_id", "array('a') AS codes")
-    vocab = spark.createDataFrame([("a", X.C.FIRST_ID)], "code string, id int")
-    monkeypatch.setattr(X, "_codes", lambda *_: (codes, vocab))
-    monkeypatch.setattr(X.C, "ids", lambda lists, vocab: lists.selectExpr("visit_id", f"array({X.C.FIRST_ID}) AS ids"))
-    for step in ("return_label", "stay_length"):
-        monkeypatch.setattr(X.temporal, step, lambda rows: rows)
-    monkeypatch.setattr(X.temporal, "prior_gap", lambda rows, first_fill: rows)
-    monkeypatch.setattr(X.retail, "encounters", lambda *_: enc)
-    monkeypatch.setattr(X, "roles", lambda rows, *_: rows.selectExpr("*", "'test' AS role"))
+    prep = X.Prepared(spark, "")
+    prep._made = {
+        ("encounters",): enc, ("codes", "D", "grp"): enc.selectExpr("visit_id", "array('a') AS codes"),
+        ("vocabulary", "D", "grp"): spark.createDataFrame([("a", X.C.FIRST_ID)], "code string, id int"),
+        ("ids", "D", "grp"): enc.selectExpr("visit_id", f"array({X.C.FIRST_ID}) AS ids"),
+        ("folds", "holdout", None): enc.selectExpr("visit_id", "0 AS run", "'test' AS role"),
+    }
     seen = []
-    monkeypatch.setattr(X.TR, "fit", lambda model, train, held, build, spec: TR.Fitted(model, 0))
-    monkeypatch.setattr(X.TR, "score", lambda model, rows, build: seen.append(build(rows.orderBy("sample_id").toArrow())))
-    X._sequence_scores(spark, "", presets.sequence_comparator(), 0)
+    monkeypatch.setattr(X, "trained", lambda cfg, model, rows, build, scaled: seen.append(build(rows.orderBy("sample_id").toArrow())))
+    X.sequence_models(prep, presets.sequence_comparator())
     lengths = [*range(1, 31), 1, 2, 3]
     assert seen[0].mask.sum(axis=1).tolist() == lengths
     assert seen[0].x["window"].sum(axis=(1, 2)).tolist() == lengths and seen[0].mask.shape == (33, 30)
 
 
+def test_no_patient_crosses_from_encoder_to_sequence_test(spark):
+    """One fold table for both stages: no test patient of the sequence model was in another part of its visit encoder."""
+    scale = X.Scale(d=4, epochs=1, rotations=(0, 7))
+    prep = X.Prepared(spark, "/root/testdata/sf0.001")
+    for cfg in (presets.on_vectors(scale)[4], presets.return_on_sequences(scale)[0]):
+        t = X.sequence_models(prep, cfg)
+        assert X.audited(prep, cfg, t).count() == 0
+        parts = X.visit_vectors(prep, cfg)[2].withColumnRenamed("role", "below")
+        crossed = t.rows.join(parts, ["rotation", "subject_id"]).filter("role = 'test' AND below <> 'test'")
+        assert parts.filter("below = 'train'").count() > 50 and crossed.count() == 0
+    by_visit = X.Config("by visit", features="gap", folds="visit", scale=scale)
+    t = X.visit_models(prep, by_visit)
+    assert X.audited(prep, by_visit, t).count() == 2  # the flawed split shows
+
+
+def test_grouped_training_equals_the_driver(spark):
+    """A rotation trained in a task gives the weights and scores of the same rows trained on the driver."""
+    rows = frame(spark).selectExpr("*", "2 AS rotation", "CASE sample_id % 4 WHEN 0 THEN 'test' WHEN 1 THEN 'validation' ELSE 'train' END AS role")
+    spec, build = TR.TrainSpec(epochs=3, eval_every=4), X.as_batch(("gap",), 1, 0)
+    model = VisitModel(FeatureSpec(gap=True), 1, d=4, temporal_width=4, dropout=0.0)
+    made = TR.fit_groups(model, rows.repartition(3), build, spec).collect()
+    table = rows.toArrow().sort_by("sample_id")
+    part = lambda r: build(table.filter(pc.equal(table.column("role"), r)))
+    TR.fit_batches(model, part("train"), part("validation"), spec)
+    told = [r for r in made if r.sample_id is None]
+    assert len(told) == 1 and told[0].rotation == 2 and np.allclose(np.frombuffer(told[0].weights), model.get())
+    scores = sorted((r.sample_id, r.p) for r in made if r.sample_id is not None)
+    assert np.allclose([p for _, p in scores], model.probabilities(part("test")).ravel())
+
+
 def test_tuned_weights_beyond_the_limit_are_joined(spark, monkeypatch):
     """No word loses its weight: what is joined gives the vectors of what is broadcast."""
     rng = np.random.default_rng(3)
