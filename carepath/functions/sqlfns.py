@@ -70,11 +70,9 @@ def aupr_udf(p: pd.Series, y: pd.Series) -> float:
 
 
 def exploded_chunks(notes, size: int = 512):
-    """The table function over a frame of notes, by a lateral join."""
-    spark = notes.sparkSession
-    notes.createOrReplaceTempView("_notes_for_chunks")
-    spark.udtf.register("chunk_text", ChunkText)
-    return spark.sql(f"SELECT note_id, c.* FROM _notes_for_chunks, LATERAL chunk_text(text, {int(size)}) c")
+    """(note_id, chunk_no, text, n_tokens): the table function over a frame of notes, by a lateral join; no name is registered."""
+    rows = notes.select("note_id", F.col("text").alias("_note"))
+    return rows.lateralJoin(ChunkText(F.col("_note").outer(), F.lit(size))).drop("_note")
 
 
 def dead_letters(df, column: str):

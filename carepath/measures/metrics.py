@@ -32,13 +32,28 @@ def macro_threshold(scores: DataFrame, t: float = 0.5, per: list[str] | None = N
     return each.groupBy(*_by(per)).agg(*(F.avg(c).alias(c) for c in ("precision", "recall", "f1")), F.count("*").alias("classes"))
 
 
+#: Steps of a unit of log odds by which distinct scores are dealt out; some thousand parts from 0 to 1.
+STEPS = 64
+
+
 def curve(scores: DataFrame, per: list[str] | None = None, bins: int | None = None) -> DataFrame:
-    """Per distinct score, from the highest on: positives, negatives, and their running sums and totals."""
+    """Per distinct score, from the highest on: positives, negatives, and their running sums and totals.
+
+    Scores are dealt by steps of log odds, which keep their order. The steps' sums, a few thousand rows of a group whatever the number of
+    scores, become running offsets; scores are ordered within a step only.
+    """
     s = F.round(F.col("p") * bins) / bins if bins else F.col("p")
     counts = scores.groupBy(*_by(per), s.alias("p")).agg(F.sum("y").cast("double").alias("pos"), F.sum(1 - F.col("y")).cast("double").alias("neg"))
-    down = Window.partitionBy(*_by(per)).orderBy(F.desc("p")).rowsBetween(Window.unboundedPreceding, 0)
+    inside = F.least(F.greatest(F.col("p"), F.lit(1e-12)), F.lit(1 - 1e-12))
+    counts = counts.withColumn("_s", F.floor(F.ln(inside / (1 - inside)) * STEPS))
+    steps = counts.groupBy(*_by(per), "_s").agg(F.sum("pos").alias("_p"), F.sum("neg").alias("_n"))
+    above = Window.partitionBy(*_by(per)).orderBy(F.desc("_s")).rowsBetween(Window.unboundedPreceding, -1)
     whole = Window.partitionBy(*_by(per))
-    return counts.withColumns({"tp": F.sum("pos").over(down), "fp": F.sum("neg").over(down), "all_pos": F.sum("pos").over(whole), "all_neg": F.sum("neg").over(whole)})
+    offsets = steps.select(*_by(per), "_s", *(F.coalesce(F.sum(c).over(above), F.lit(0.0)).alias(f"{c}0") for c in ("_p", "_n")), F.sum("_p").over(whole).alias("all_pos"), F.sum("_n").over(whole).alias("all_neg"))
+    down = Window.partitionBy(*_by(per), "_s").orderBy(F.desc("p")).rowsBetween(Window.unboundedPreceding, 0)
+    rows = counts.join(offsets, [*_by(per), "_s"])
+    rows = rows.withColumns({"tp": F.sum("pos").over(down) + F.col("_p0"), "fp": F.sum("neg").over(down) + F.col("_n0")})
+    return rows.select(*_by(per), "p", "pos", "neg", "tp", "fp", "all_pos", "all_neg")
 
 
 def roc_auc(scores: DataFrame, per: list[str] | None = None, bins: int | None = None) -> DataFrame:
@@ -52,8 +67,9 @@ def pr_auc(scores: DataFrame, per: list[str] | None = None, kind: str = "step",
     """Area under precision against recall over distinct thresholds: as steps, or as trapezoids from (0, first precision)."""
     c = curve(scores, per, bins).withColumn("prec", F.col("tp") / (F.col("tp") + F.col("fp")))
     if kind == "trapezoid":
-        w = Window.partitionBy(*_by(per)).orderBy(F.desc("p"))
-        c = c.withColumn("prec", (F.col("prec") + F.coalesce(F.lag("prec").over(w), F.col("prec"))) / 2)
+        before = F.col("tp") - F.col("pos")
+        cells = before + F.col("fp") - F.col("neg")
+        c = c.withColumn("prec", (F.col("prec") + F.when(cells > 0, before / cells).otherwise(F.col("prec"))) / 2)
     return c.groupBy(*_by(per)).agg(F.sum(F.col("prec") * F.col("pos") / F.when(F.col("all_pos") > 0, F.col("all_pos"))).alias("aupr"))
 
 

@@ -109,20 +109,53 @@ def _on_driver(model, train, validation, to_batch, spec) -> Fitted:
     return fit_batches(model, collected(train, to_batch, spec.driver_rows), collected(validation, to_batch, spec.driver_rows), spec)
 
 
-def _per_task(df: DataFrame, model: Model, weights: np.ndarray, to_batch: ToBatch, work: Callable[[Model, Batch], tuple[float, np.ndarray]]) -> tuple[float, np.ndarray, int]:
-    """Sums over tasks of loss and vector, each times the task's rows, and the rows. What comes to the driver is a vector per task."""
+#: Vectors that come to the driver at most; more are summed in tasks first, as many at a time.
+FAN = 8
+
+
+def _per_task(df: DataFrame, model: Model, weights: np.ndarray, to_batch: ToBatch, work: Callable[[Model, Batch], tuple[float, np.ndarray]], whole: bool = False) -> tuple[float, np.ndarray, int]:
+    """Sums over tasks of loss and vector, each times its rows, and the rows.
+
+    A task works on a batch at a time, or with ``whole`` on all its rows. Vectors are summed in tasks ``FAN`` at a time, so what comes
+    to the driver does not grow with the partitions.
+    """
     shared = df.sparkSession.sparkContext.broadcast((pickle.dumps(model), weights))
+    schema = "loss double, v binary, n long"
+
+    def row(loss: float, vector: np.ndarray, n: int) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([loss]), pa.array([vector.tobytes()], pa.binary()), pa.array([n], pa.int64())], names=["loss", "v", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        found = [b for b in batches if b.num_rows]
-        if found:
-            own = pickle.loads(shared.value[0])
+        own, loss, vector, n = None, 0.0, None, 0
+        parts = (pa.Table.from_batches([b]) for b in batches if b.num_rows)
+        if whole:
+            every = list(parts)
+            parts = iter([pa.concat_tables(every)] if every else [])
+        for part in parts:
+            own = own or pickle.loads(shared.value[0])
             own.set(shared.value[1])
-            rows = to_batch(pa.Table.from_batches(found))
-            loss, vector = work(own, rows)
-            yield pa.RecordBatch.from_arrays([pa.array([loss * len(rows)]), pa.array([(vector * len(rows)).tobytes()], pa.binary()), pa.array([len(rows)], pa.int64())], names=["loss", "v", "n"])
-
-    got = df.mapInArrow(run, "loss double, v binary, n long").collect()
+            rows = to_batch(part)
+            more, v = work(own, rows)
+            loss, n = loss + more * len(rows), n + len(rows)
+            vector = v * len(rows) if vector is None else vector + v * len(rows)
+        if n:
+            yield row(loss, vector, n)
+
+    def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        loss, vector, n = 0.0, None, 0
+        for batch in batches:
+            for more, v, m in zip(*(batch.column(i) for i in range(3)), strict=True):
+                v = np.frombuffer(v.as_buffer())
+                loss, n, vector = loss + more.as_py(), n + m.as_py(), v.copy() if vector is None else vector + v
+        if n:
+            yield row(loss, vector, n)
+
+    got, parts = df.mapInArrow(run, schema), df.rdd.getNumPartitions()
+    while parts > FAN:
+        # Each step deals the vectors of ``FAN`` tasks to one.
+        group, parts = F.floor(F.spark_partition_id() / FAN), -(-parts // FAN)
+        got = got.repartition(parts, group).mapInArrow(summed, schema)
+    got = got.collect()
     n = sum(r["n"] for r in got)
     shared.unpersist()
     if not n:
@@ -178,7 +211,7 @@ def _averaged(model, train, validation, to_batch, spec) -> Fitted:
         return loss, v
 
     for epoch in range(spec.epochs):
-        loss, mean, n = _per_task(train, model, w, to_batch, lambda m, r, e=epoch: work(m, r, spec.seed + e))
+        loss, mean, n = _per_task(train, model, w, to_batch, lambda m, r, e=epoch: work(m, r, spec.seed + e), whole=True)
         w = mean if n else w
         step += spec.local_steps
         held, _, _ = _per_task(validation, model, w, to_batch, _loss_only)

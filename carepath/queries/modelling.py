@@ -7,6 +7,7 @@ from dataclasses import replace
 from carepath.plans import experiments as X
 from carepath.plans import presets as P
 from carepath.queries._registry import query
+from carepath.queries.visits import _CHUNKS
 
 SCALE = X.Scale(d=16, epochs=2)
 
@@ -67,6 +68,6 @@ def _(s, d):
     return X.width_sweep(s, d, scale=replace(SCALE, rotations=tuple(range(10))))
 
 
-@query("w_precompute")
+@query("w_precompute", f"WITH {_CHUNKS}, n AS (SELECT count(*) AS c FROM c) SELECT 'stored' AS how, c AS encoder_passes FROM n UNION ALL SELECT 'recomputed', c * 100 FROM n")
 def _(s, d):
     return X.cost_report(s, d, 100)

@@ -334,7 +334,7 @@ def _(s, d):
     return folds.iterative_label_split(samples, {"train": 8, "validation": 1, "test": 1})
 
 
-@query("d_expand")
+@query("d_expand", ENC + _FOLD + " SELECT visit_id, lab.subject_id, y AS y_return, fold FROM lab JOIN fold ON lab.subject_id = fold.subject_id")
 def _(s, d):
     return folds.expand(_folded(s, d), _labelled(s, d)).select("visit_id", "subject_id", "y_return", "fold")
 

@@ -9,6 +9,7 @@ from carepath.functions import sqlfns
 from carepath.operators import codes as C
 from carepath.operators import cohorts, folds, relational, temporal
 from carepath.queries._registry import DX, ENC, HASH, query
+from carepath.queries.visits import _SESS, _sessions
 from carepath.sources import events as EV
 from carepath.sources import retail
 from carepath.sources.tables import load, load_as, save_as
@@ -36,9 +37,9 @@ def _(s, d):
     return out
 
 
-@query("r05_projection", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) AS net FROM lineitem WHERE l_orderkey < 1000")
+@query("r05_projection", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) AS net FROM lineitem")
 def _(s, d):
-    return load(s, d, "lineitem").filter("l_orderkey < 1000").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4).alias("net"))
+    return load(s, d, "lineitem").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4).alias("net"))
 
 
 @query("r06_filter", "SELECT doc_id FROM documents WHERE source IN ('src1', 'src2') AND n_chars BETWEEN 100 AND 5000 AND text LIKE '%the%' AND lang IS NOT NULL")
@@ -84,10 +85,10 @@ def _(s, d):
     return relational.asof(left, right, "at", "who", "event_id").select("o_orderkey", F.coalesce("event_id", F.lit(-1)).alias("event_id"))
 
 
-@query("r15_interval_join", ENC + " SELECT event_id, visit_id FROM events JOIN enc ON user_id = subject_id AND ts >= CAST(admit AS TIMESTAMP) AND ts <= CAST(discharge AS TIMESTAMP)")
+@query("r15_interval_join", _SESS + " SELECT event_id, visit_id FROM events JOIN ses ON user_id = subject_id AND ts >= admit_ts AND ts <= discharge_ts")
 def _(s, d):
     e = load(s, d, "events").select("event_id", "ts", F.col("user_id").alias("subject_id"))
-    spans = _enc(s, d).select("subject_id", "visit_id", F.date_trunc("day", "admit_ts").alias("admit_ts"), F.date_trunc("day", "discharge_ts").alias("discharge_ts"))
+    spans = _sessions(s, d).select("subject_id", "visit_id", "admit_ts", "discharge_ts")
     return relational.in_interval(e, spans, "ts", "admit_ts", "discharge_ts", "subject_id").select("event_id", "visit_id")
 
 
@@ -106,9 +107,12 @@ def _(s, d):
     return load(s, d, "lineitem").agg(F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_suppkey").alias("suppliers"))
 
 
-@query("r18_approx_distinct")
+@query("r18_approx_distinct", "SELECT unnest(['raw', 'parent', 'group', 'concept']) AS stage, true AS within")
 def _(s, d):
-    return C.vocab_report(retail.code_events(s, d, "D"), retail.code_dict(s, d, "D"), approx=True)
+    """Sketched counts against exact ones: within three times the sketch's stated deviation."""
+    events, dictionary = retail.code_events(s, d, "D"), retail.code_dict(s, d, "D")
+    exact = C.vocab_report(events, dictionary).withColumnRenamed("size", "exact")
+    return C.vocab_report(events, dictionary, approx=True).join(exact, "stage").select("stage", (F.abs(F.col("size") - F.col("exact")) <= 0.06 * F.col("exact") + 1).alias("within"))
 
 
 @query("r19_percentiles", "SELECT quantile_cont(v, 0.25) AS q1, quantile_cont(v, 0.5) AS q2, quantile_cont(v, 0.9) AS q9 FROM (SELECT CAST(count(*) AS DOUBLE) AS v FROM orders GROUP BY o_custkey)")
@@ -286,7 +290,7 @@ def _(s, d):
     return s.sql("SELECT p_partkey, condense_dx(p_type) AS dx, round(merge_chunks_p(0.9D, 0.5D, CAST(p_size % 5 AS BIGINT)), 6) AS p FROM part")
 
 
-@query("u_chunk_text")
+@query("u_chunk_text", "WITH w AS (SELECT doc_id AS note_id, list_filter(string_split(coalesce(text, ''), ' '), lambda x: x <> '') AS words FROM documents), c AS (SELECT note_id, words, unnest(range(0, CAST(ceil(len(words) / 512.0) AS BIGINT))) AS i FROM w) SELECT note_id, CAST(i AS INTEGER) AS chunk_no, CAST(len(words[i * 512 + 1:i * 512 + 512]) AS INTEGER) AS n_tokens FROM c")
 def _(s, d):
     return sqlfns.exploded_chunks(retail.notes(s, d).select("note_id", "text"), 512).select("note_id", "chunk_no", "n_tokens")
 

@@ -193,3 +193,19 @@ def test_prefixes_of_a_long_history_are_whole(spark):
     assert got == {t: list(range(t)) for t in range(1, 131)}
     cut = {r.target_visit: (r.n, r.n_cut) for r in sequences.prefixes(v, max_len=100).collect()}
     assert cut == {t: (min(t, 100), max(0, t - 100)) for t in range(1, 131)}
+
+
+def test_curves_bring_no_scores_to_one_task(spark):
+    """What a single task orders is the steps' sums; distinct scores are dealt by step. The area equals a direct count."""
+    import numpy as np
+
+    from carepath.measures import metrics
+
+    rng = np.random.default_rng(2)
+    p, y = np.concatenate([rng.random(3000), [0.0, 1.0, 1.0, 1e-15]]), np.concatenate([rng.integers(0, 2, 3000), [0, 1, 0, 1]])
+    scores = spark.createDataFrame([(i, 0, int(b), float(a)) for i, (a, b) in enumerate(zip(p, y, strict=True))], "sample_id long, class_id int, y int, p double")
+    pos, neg = p[y == 1][:, None], p[y == 0]
+    assert abs(metrics.roc_auc(scores).first()["auc"] - ((pos > neg) + (pos == neg) / 2).mean()) < 1e-12
+    plan = metrics.curve(scores)._jdf.queryExecution().executedPlan().toString()
+    ordered = [part for part in plan.split("Window ")[1:] if "SinglePartition" in part.split("Window ")[0]]
+    assert all("_s" in part.split("\n")[0] and " p#" not in part.split("\n")[0].split("windowspecdefinition")[-1] for part in ordered)
