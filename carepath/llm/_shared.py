@@ -34,28 +34,29 @@ def scratch_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/carepath/{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex[:12]}"
 
 
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Settings while a table is written. Shuffle files go as soon as the query ends, as what it made is in the table; rows reach Python
+#: workers in smaller batches, which take memory outside the heap on either side.
+WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2500"}
 
 
 @contextmanager
-def _shuffles_dropped(spark: SparkSession) -> Iterator[None]:
-    """Shuffle files of queries that end meanwhile go at once: what they made is in a table. Settings are as before afterwards."""
-    before = spark.conf.get(_CLEANUP, None)
+def _settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
+    """Runtime settings for the queries inside; afterwards they are as before."""
+    before = {k: spark.conf.get(k, None) for k in values}
     try:
-        spark.conf.set(_CLEANUP, "true")
+        for k, v in values.items():
+            spark.conf.set(k, v)
         yield
     finally:
-        if before is None:
-            spark.conf.unset(_CLEANUP)
-        else:
-            spark.conf.set(_CLEANUP, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
     """The rows of ``df`` as a Parquet table in the shared folder: lineage ends there and a lost executor costs only a reread."""
     spark = df.sparkSession
     path = scratch_path(spark, tag)
-    with _shuffles_dropped(spark):
+    with _settings(spark, WRITING):
         df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -1,7 +1,8 @@
 """A deterministic, sharded WARC writer and its reader.
 
-Records are sorted by page id over ranges that depend on the rows alone: bytes are counted in fixed bins of the id range
-and bins are packed into shards. Within a shard files are rolled where the running compressed size passes ``roll_bytes``,
+Records are sorted by page id over ranges that depend on the rows alone: bytes are counted in bins of the id range, a bin that holds
+more than a shard is parted again until it fits, one id (or none) by the digests of its payloads, and the parts are packed into
+shards in order. Within a shard files are rolled where the running compressed size passes ``roll_bytes``,
 so the same rows give the same files whatever the cluster. Every record is a gzip member of its own; headers, record
 ids and digests are made anew from the payload. Of equal payloads one is stored, the others are revisit records.
 
@@ -13,7 +14,8 @@ A text writer ends each row with a separator. A gzip member of less than 16 MiB
 its length; that byte is left to the separator, and longer members are followed by an empty one that ends alike.
 
 Defined cases: a null html is the empty payload; a null url leaves its header out; rows without an id come first and are
-never referred to; rows that repeat the smallest id of their payload are all responses; an empty table gives an archive
+never referred to; rows that repeat the smallest id of their payload are all responses; rows with one id and one payload share a
+shard however many they are; an empty table gives an archive
 without files and an empty result; other columns are ignored.
 """
 
@@ -23,15 +25,18 @@ import base64
 import gzip
 import uuid
 import zlib
+from bisect import bisect_right
 from collections.abc import Iterator
 from dataclasses import dataclass
 from hashlib import sha256
 from urllib.parse import quote
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from carepath.llm._shared import if_small, written
+
 #: Fixed values of the format.
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 END = b"\r\n\r\n"
@@ -112,49 +117,88 @@ def records(content: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
         yield fields, payload
 
 
-def _shards(pages: DataFrame, spec: ArchiveSpec) -> tuple[int, int, DataFrame]:
-    """Least id, ids in a bin, and (bin, shard): bins of near equal bytes packed in order, from the rows alone."""
-    spark = pages.sparkSession
-    low, high = pages.agg(F.min("page_id"), F.max("page_id")).first()
-    low, high = (0, 0) if low is None else (low, high)
-    width = -(-(high - low + 1) // spec.bins)
-    bin_of = F.coalesce(F.expr(f"(page_id - {low}) DIV {width}"), F.lit(0)).cast("int")
-    sizes = dict(pages.groupBy(bin_of.alias("bin")).agg(F.sum(F.coalesce(F.octet_length("html"), F.lit(0)) + 512).alias("n")).collect())
-    rows, shard, filled = [], 0, 0
-    for b in range(spec.bins):
-        if filled and filled + sizes.get(b, 0) > spec.shard_bytes:
-            shard, filled = shard + 1, 0
-        filled += sizes.get(b, 0)
-        rows.append((b, shard))
-    return low, width, spark.createDataFrame(rows, "bin int, shard int")
+#: Where rows without an id begin.
+NO_ID = -(1 << 63) - 1
+#: A bin that holds more than a shard is parted into this power of two.
+PART_BITS = 8
+
+_Leaf = tuple[int, int, int]  # first id, first of 256 parts of its digests, bytes
+
+
+def _block(bits: int) -> Column:
+    """Number of an id's block of 2^bits ids, in order of ids."""
+    return F.shiftrightunsigned(F.col("page_id").bitwiseXOR(F.lit(-(1 << 63))), bits)
+
+
+def _leaves(light: DataFrame, spec: ArchiveSpec) -> list[_Leaf]:
+    """Ranges of (id, part of digests) that have rows, with their bytes, from counts alone; only single parts of single ids may exceed a shard."""
+    size = F.sum(F.col("n") + 512).alias("size")
+    low, high, nothing = light.agg(F.min("page_id"), F.max("page_id"), F.sum(F.when(F.col("page_id").isNull(), F.col("n") + 512))).first()
+    out: list[_Leaf] = [] if nothing is None or nothing > spec.shard_bytes else [(NO_ID, 0, nothing)]
+    whole: list[int] = []
+    rows, bits = light.filter("page_id IS NOT NULL"), 64
+    if low is not None:
+        bits = next(b for b in range(65) if ((high + (1 << 63)) >> b) - ((low + (1 << 63)) >> b) < spec.bins)
+    while low is not None:
+        found = [((r["b"] & ((1 << 64) - 1)) << bits, r["b"], r["size"]) for r in rows.groupBy(_block(bits).alias("b")).agg(size).collect()]
+        out += [(u - (1 << 63), 0, n) for u, _, n in found if n <= spec.shard_bytes]
+        large = [(u, b) for u, b, n in found if n > spec.shard_bytes]
+        if not large or bits == 0:
+            whole = [u - (1 << 63) for u, _ in large]
+            break
+        some = light.sparkSession.createDataFrame([(b,) for _, b in large], "_b long")
+        rows = rows.join(F.broadcast(some), _block(bits) == F.col("_b"), "left_semi")
+        bits = max(0, bits - PART_BITS)
+    digest = F.conv(F.substring("digest", 1, 2), 16, 10).cast("int").alias("d")
+    if whole:
+        ids = light.sparkSession.createDataFrame([(i,) for i in whole], "_i long")
+        out += [(r["page_id"], r["d"], r["size"]) for r in light.join(F.broadcast(ids), F.col("page_id") == F.col("_i"), "left_semi").groupBy("page_id", digest).agg(size).collect()]
+    if nothing is not None and nothing > spec.shard_bytes:
+        out += [(NO_ID, r["d"], r["size"]) for r in light.filter("page_id IS NULL").groupBy(digest).agg(size).collect()]
+    return sorted(out)
+
+
+def _shards(light: DataFrame, spec: ArchiveSpec) -> list[tuple[int, int]]:
+    """Where each shard begins, as (id, part of digests); a list of as many entries as there are shards."""
+    starts, filled = [], 0
+    for first, part, n in _leaves(light, spec):
+        if not starts or filled + n > spec.shard_bytes:
+            starts.append((first, part))
+            filled = 0
+        filled += n
+    return starts
 
 
 def write(pages: DataFrame, folder: str, spec: ArchiveSpec = ArchiveSpec()) -> None:
     """Archive ``pages`` (page_id, url, html) under ``folder``, which must hold no archive yet."""
     spark = pages.sparkSession
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html")
-    low, width, shards = _shards(pages, spec)
     payload = F.coalesce("html", F.lit("")).cast("binary")
-    light = pages.select("page_id", F.sha2(payload, 256).alias("digest"), F.length(payload).alias("n"))
+    light = written(pages.select("page_id", F.sha2(payload, 256).alias("digest"), F.length(payload).alias("n")), "warc-light")
+    starts = _shards(light, spec)
     shared = light.filter(F.col("n") >= spec.least_shared).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count("*").alias("c")).filter("c > 1 AND first_id IS NOT NULL").drop("c")
-    if shared.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS:
-        shared = F.broadcast(shared)
-    own = pages.select("page_id", "url", payload.alias("payload"), F.sha2(payload, 256).alias("digest"), F.coalesce(F.expr(f"(page_id - {low}) DIV {width}"), F.lit(0)).cast("int").alias("bin"))
-    own = own.join(F.broadcast(shards), "bin").join(shared, "digest", "left")
+    own = pages.select("page_id", "url", payload.alias("payload"), F.sha2(payload, 256).alias("digest"))
+    own = own.join(if_small(written(shared, "warc-shared"), BROADCAST_ROWS), "digest", "left")
     refers = F.when(~F.col("first_id").eqNullSafe(F.col("page_id")), F.col("first_id"))
+    known = spark.sparkContext.broadcast(starts)
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        begins = known.value
         for batch in batches:
-            packed, ids = [], batch.column(1).to_pylist()
-            for page, url, data, to in zip(ids, batch.column(2), batch.column(3), batch.column(4), strict=True):
+            packed, shards, ids = [], [], batch.column(0).to_pylist()
+            for page, url, data, to, digest in zip(ids, *(batch.column(i) for i in range(1, 5)), strict=True):
                 packed.append(record(page, url.as_py(), data.as_py(), to.as_py(), spec)[:-1])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(5), pa.array(packed, pa.binary())], names=["shard", "page_id", "digest", "packed"])
+                shards.append(bisect_right(begins, (NO_ID if page is None else page, int(digest.as_py()[:2], 16))) - 1)
+            yield pa.RecordBatch.from_arrays([pa.array(shards, pa.int32()), batch.column(0), batch.column(4), pa.array(packed, pa.binary())], names=["shard", "page_id", "digest", "packed"])
 
-    made = own.select("shard", "page_id", "url", "payload", refers.alias("refers_to"), "digest").mapInArrow(pack, "shard int, page_id long, digest string, packed binary")
-    upto = Window.partitionBy("shard").orderBy(F.col("page_id").asc_nulls_first(), "digest", "packed").rowsBetween(Window.unboundedPreceding, -1)
-    rolled = made.withColumn("file", F.floor(F.coalesce(F.sum(F.length("packed") + 1).over(upto), F.lit(0)) / spec.roll_bytes).cast("int"))
+    made = own.select("page_id", "url", "payload", refers.alias("refers_to"), "digest").mapInArrow(pack, "shard int, page_id long, digest string, packed binary")
+    order = Window.partitionBy("shard").orderBy(F.col("page_id").asc_nulls_first(), "digest", "packed")
+    before = F.coalesce(F.sum(F.length("packed") + 1).over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    rolled = made.withColumns({"file": F.floor(before / spec.roll_bytes).cast("int"), "at": F.row_number().over(order)})
     staging = f"{folder}/_staging-{uuid.uuid4().hex}"
-    rolled.select("shard", "file", F.col("packed").cast("string").alias("value")).write.partitionBy("shard", "file").option("lineSep", "\0").text(staging)
+    # The writer asks for rows in order of shard and file and would sort by these alone; this order begins with both and is kept.
+    rolled = rolled.sortWithinPartitions("shard", "file", "at").select("shard", "file", F.col("packed").cast("string").alias("value"))
+    rolled.write.partitionBy("shard", "file").option("lineSep", "\0").text(staging)
     _commit(spark, folder, staging, spec)
 
 

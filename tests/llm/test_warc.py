@@ -34,3 +34,24 @@ def test_round_trip_is_deterministic(spark, tmp_path):
 def test_empty_table(spark, tmp_path):
     warc.write(spark.createDataFrame([], "page_id long, url string, html string"), str(tmp_path / "e"))
     assert warc.read(spark, str(tmp_path / "e")).count() == 0
+
+
+def test_shards_hold_what_they_may(spark, tmp_path):
+    """One far id, one id and one missing id with many pages: no shard but of one payload exceeds its bytes; files are in order of id."""
+    rows = [(i, "u", f"page {i} " * 30) for i in range(400)] + [(10**15, "far", "x" * 50)] + [(7, "u", f"again {i} " * 30) for i in range(300)] + [(None, "u", f"none {i} " * 30) for i in range(300)] + [(-(1 << 63), "first", "y"), ((1 << 63) - 1, "last", "z")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    spec = warc.ArchiveSpec(shard_bytes=50_000, roll_bytes=4_000)
+    made = []
+    for n, parts in ((1, 1), (2, 6)):
+        folder = tmp_path / str(n)
+        warc.write(df.repartition(parts), str(folder), spec)
+        made.append({f: (folder / "data" / f).read_bytes() for f in sorted(os.listdir(folder / "data")) if f.endswith(".gz")})
+    assert made[0] == made[1]
+    sizes, seen = {}, []
+    for name, content in made[0].items():
+        for fields, payload in warc.records(content):
+            sizes[name.split("-")[1]] = sizes.get(name.split("-")[1], 0) + len(payload) + 512
+            seen.append(int(fields.get("Page-Id", warc.NO_ID)))
+    assert max(sizes.values()) <= spec.shard_bytes and len(sizes) > 10
+    assert seen == sorted(seen) and len(seen) == len(rows)
+    assert warc.read(spark, str(tmp_path / "1")).count() == len(rows)
