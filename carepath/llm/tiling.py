@@ -28,6 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from carepath.llm._blocks import Block, blocks, grams, row_of_word, words
+from carepath.llm._shared import if_small, written
 from carepath.llm.toxicity import _APART
 
 BLOCK_WORDS = 2_000_000
@@ -207,6 +208,9 @@ def _arrow(kind: T.DataType) -> pa.DataType:
 
 
 def without_benchmark(docs: DataFrame, benchmark: DataFrame, spec: TileSpec = TileSpec()) -> DataFrame:
-    """The rows of ``docs`` whose id has no item; columns unchanged. Rows without an id go together if one holds an item."""
-    found = tiled(docs, benchmark, spec).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(found, docs["doc_id"].eqNullSafe(found["_bad"]), "left_anti")
+    """The rows of ``docs`` whose text holds no item; columns unchanged. A row is judged by its own text, whatever its id."""
+    text_hash = F.xxhash64(F.coalesce("text", F.lit("")))
+    found = written(tiled(docs.select(text_hash.alias("doc_id"), "text"), benchmark, spec).select(F.col("doc_id").alias("_bad")).distinct(), "tiles-found")
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_k"), text_hash.alias("_th"))
+    kept = rows.join(if_small(found), F.col("_th") == F.col("_bad"), "left_anti")
+    return kept.select(*(F.col(f"_k.`{c}`").alias(c) for c in docs.columns))

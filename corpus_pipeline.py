@@ -1,7 +1,7 @@
 """A training corpus from ``documents``: toxic texts and near copies go, benchmark passages go, secrets are masked, sources are mixed.
 
 Each stage takes what the one before has kept, as written; all but the last return the columns of ``documents``.
-Every decision is by document: rows without an id follow their own text except in decontamination, where they go together.
+Every decision is by row: rows without an id, and rows of one id with different texts, follow their own text.
 """
 
 from __future__ import annotations

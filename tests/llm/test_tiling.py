@@ -37,6 +37,8 @@ def test_reordered_passage_is_found(spark):
     got = {(r.doc_id, r.item_id): (r.n_tiles, r.coverage) for r in G.tiled(docs, bench).collect()}
     assert got == {(1, 7): (2, 1.0), (3, 7): (1, 1.0)}
     assert {r.doc_id for r in G.without_benchmark(docs, bench).collect()} == {2, 4, 5}
+    more = docs.unionByName(spark.createDataFrame([(None, " ".join(words)), (None, "clean"), (1, "another text of the id")], docs.schema))
+    assert sorted(map(str, (r.text for r in G.without_benchmark(more, bench).collect()))) == sorted(["", "None", "another text of the id", "clean", " ".join(words[:25])])
 
 
 def test_whole_table_against_brute_force(spark):
