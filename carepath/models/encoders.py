@@ -115,19 +115,20 @@ def concept_table(dictionary: DataFrame, encoder: HashedProjection) -> DataFrame
     return encode_text(C.describe(dictionary), encoder, ("code",)).select("code", "vec")
 
 
-#: Codes of a matrix that is brought to tasks; code standards are far smaller.
-MOST_CODES = 500_000
+#: Bytes of a matrix that is brought to tasks; a code standard of 20,000 concepts at width 768 takes 123 MB.
+MOST_BYTES = 512 << 20
 
 
 def matrix(table: DataFrame, vocab: DataFrame, d: int) -> np.ndarray:
-    """Vectors by vocabulary id, zeros for padding and unknown codes; refuses a vocabulary beyond any code standard."""
-    rows = vocab.select("code", "id").join(table, "code").select("id", "vec").limit(MOST_CODES + 1).collect()
-    if len(rows) > MOST_CODES:
+    """Vectors by vocabulary id, zeros for padding and unknown codes; refuses what is beyond ``MOST_BYTES``. Rows come as Arrow."""
+    most = MOST_BYTES // (8 * d)
+    rows = vocab.select("code", "id").join(table, "code").select("id", F.col("vec").cast("array<double>").alias("vec")).limit(most + 1).toArrow()
+    if len(rows) > most:
         raise ValueError("too many codes for one matrix")
-    size = max((r["id"] for r in rows), default=C.UNKNOWN) + 1
-    out = np.zeros((size, d))
-    for r in rows:
-        out[r["id"]] = r["vec"]
+    ids = rows.column("id").to_numpy()
+    out = np.zeros((int(ids.max(initial=C.UNKNOWN)) + 1, d))
+    if len(rows):
+        out[ids] = rows.column("vec").combine_chunks().flatten().to_numpy().reshape(-1, d)
     return out
 
 
@@ -135,7 +136,7 @@ def multi_hot_concept(sparse: DataFrame, vocab: DataFrame, table: DataFrame, key
     """(key, vec): the sum of the vectors of a visit's codes, the product of its multi-hot row with the concept table."""
     from carepath.functions.vectors import pool
 
-    long = sparse.select(key, F.explode("ids").alias("id")).join(F.broadcast(vocab.select("id", "code")), "id").join(F.broadcast(table), "code")
+    long = sparse.select(key, F.explode("ids").alias("id")).join(vocab.select("id", "code"), "id").join(table, "code")
     return pool(long, key, "vec", "sum")
 
 

@@ -21,10 +21,10 @@ def ordered_list(events: DataFrame, distinct: bool = False, cap: int | None = No
     return rows.select("visit_id", F.slice("codes", 1, cap).alias("codes"), F.least(size, F.lit(cap)).alias("n_codes"), F.greatest(size - cap, F.lit(0)).alias("n_truncated"))
 
 
-def map_codes(events: DataFrame, dictionary: DataFrame, to: str, missing: str = "keep", small: bool = True) -> DataFrame:
+def map_codes(events: DataFrame, dictionary: DataFrame, to: str, missing: str = "keep", small: bool = False) -> DataFrame:
     """Codes replaced by the dictionary's column ``to``; unmapped ones are kept, dropped or named UNK.
 
-    ``small``: the dictionary is known to be bounded (code standards are) and is broadcast.
+    ``small``: the caller has counted the dictionary, and it is broadcast; else Spark chooses by its size.
     """
     d = dictionary.select(F.col("code").alias("_code"), F.col(to).alias("_to"))
     joined = events.join(F.broadcast(d) if small else d, F.col("code") == F.col("_code"), "inner" if missing == "drop" else "left")
@@ -60,7 +60,7 @@ def vocab_report(events: DataFrame, dictionary: DataFrame, approx: bool = False)
     """(stage, size): distinct codes raw and after each reduction, in one pass over the joined rows."""
     count = (lambda c: F.approx_count_distinct(c, 0.02)) if approx else F.countDistinct
     d = dictionary.select(F.col("code").alias("_c"), "parent", "grp", "concept")
-    one = events.join(F.broadcast(d), F.col("code") == F.col("_c"), "left").agg(*(count(c).alias(s) for c, s in (("code", "raw"), ("parent", "parent"), ("grp", "group"), ("concept", "concept"))))
+    one = events.join(d, F.col("code") == F.col("_c"), "left").agg(*(count(c).alias(s) for c, s in (("code", "raw"), ("parent", "parent"), ("grp", "group"), ("concept", "concept"))))
     return one.unpivot([], ["raw", "parent", "group", "concept"], "stage", "size")
 
 
@@ -78,7 +78,7 @@ def pad(lists: DataFrame, size: int | None = None, side: str = "right", column:
 
 def ids(lists: DataFrame, vocab: DataFrame, column: str = "codes", key: str = "visit_id") -> DataFrame:
     """Sorted distinct vocabulary ids of each list, sparse; unknown codes have the id 1. Lists without codes give none."""
-    long = lists.select(key, F.explode_outer(column).alias("code")).join(F.broadcast(vocab.select("code", "id")), "code", "left")
+    long = lists.select(key, F.explode_outer(column).alias("code")).join(vocab.select("code", "id"), "code", "left")
     known = F.when(F.col("code").isNotNull(), F.coalesce("id", F.lit(UNKNOWN)))
     return long.groupBy(key).agg(F.array_sort(F.collect_set(known)).alias("ids"))
 

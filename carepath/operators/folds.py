@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from carepath.sources.stores import written
+
 #: Hash prefixes for exact ranks: 1,024 buckets of 2^22, so that a stratum is ranked in as many tasks.
 BUCKET = 1 << 22
 
@@ -89,21 +91,36 @@ def expand(folds: DataFrame, visits: DataFrame, seed: int = 42) -> DataFrame:
 def iterative_label_split(samples: DataFrame, ratios: dict[str, float], seed: int = 42) -> DataFrame:
     """(key, split): multi-label stratification, rarest labels first.
 
-    ``samples``: (key, labels). A sample belongs to its rarest label's tier; a tier's samples are dealt in hash order so that
-    every split gets its ratio of each tier. One pass with ranks by tier: the tiers are the labels, so their number is bounded.
+    ``samples``: (key, labels). A sample is dealt by its rarest label. Labels of like frequency (a factor of two) make a round; before
+    each round the splits' remaining demand for every label is counted from all that earlier rounds dealt, and the round's samples
+    of a label are dealt in hash order by that demand. Rounds grow with the logarithm of the samples. Samples without labels are dealt by the ratios.
     """
-    long = samples.select("key", F.explode("labels").alias("label"))
-    counts = long.groupBy("label").agg(F.count("*").alias("n"))
-    tier = long.join(F.broadcast(counts), "label").groupBy("key").agg(F.min(F.struct("n", "label")).alias("r")).select("key", F.col("r.label").alias("tier"))
-    dealt = ranked(samples.select("key").join(tier, "key", "left").withColumn("tier", F.coalesce(F.col("tier").cast("string"), F.lit(""))), "key", ["tier"], seed)
     total = sum(ratios.values())
-    # The place of a rank on the unit line by bit reversal of its number spreads small tiers over the splits.
-    place = sum(((F.shiftright(F.col("rank") - 1, i) % 2) * float(2.0 ** -(i + 1)) for i in range(16)), F.lit(0.0))
-    split, upto = F.lit(None).cast("string"), 0.0
-    for name, r in ratios.items():
-        split = F.coalesce(split, F.when(place < upto + r / total, F.lit(name)))
-        upto += r / total
-    return dealt.select("key", F.coalesce(split, F.lit(list(ratios)[-1])).alias("split"))
+    long = samples.select("key", F.explode("labels").alias("label")).distinct()
+    counts = written(long.groupBy("label").agg(F.count("*").alias("n")))
+    tier = long.join(counts, "label").groupBy("key").agg(F.min(F.struct("n", "label")).alias("r")).select("key", F.col("r.label").alias("label"), F.floor(F.log2("r.n")).cast("int").alias("round"))
+    tier = samples.select("key").distinct().join(tier, "key", "left").select("key", F.col("label").cast("string").alias("label"), F.coalesce("round", F.lit(-1)).alias("round"))
+    places = Window.partitionBy("label")
+    ranks = ranked(tier.withColumn("_t", F.coalesce("label", F.lit(""))), "key", ["_t"], seed).drop("_t")
+    ranks = written(ranks.withColumn("place", (F.col("rank") - 0.5) / F.count("*").over(places)).select("key", "label", "round", "place"))
+    dealt = None
+    for r in sorted(x["round"] for x in ranks.select("round").distinct().collect()):
+        rows = ranks.filter(F.col("round") == r)
+        if dealt is not None:
+            have = dealt.join(long, "key").groupBy("label").agg(*(F.sum((F.col("split") == s).cast("int")).alias(f"_h_{s}") for s in ratios))
+            need = counts.join(have, "label", "left").select(F.col("label").cast("string").alias("label"), *(F.greatest(F.col("n") * (v / total) - F.coalesce(f"_h_{s}", F.lit(0)), F.lit(0.0)).alias(f"_d_{s}") for s, v in ratios.items()))
+            rows = rows.join(need, "label", "left")
+        else:
+            rows = rows.select("*", *(F.lit(float(v)).alias(f"_d_{s}") for s, v in ratios.items()))
+        # Without any demand left the ratios hold.
+        whole = sum((F.coalesce(f"_d_{s}", F.lit(0.0)) for s in ratios), F.lit(0.0))
+        split, upto = F.lit(None).cast("string"), F.lit(0.0)
+        for s, v in ratios.items():
+            upto = upto + F.when(whole > 0, F.coalesce(f"_d_{s}", F.lit(0.0)) / whole).otherwise(F.lit(v / total))
+            split = F.coalesce(split, F.when(F.col("place") < upto, F.lit(s)))
+        part = written(rows.select("key", F.coalesce(split, F.lit(list(ratios)[-1])).alias("split")))
+        dealt = part if dealt is None else dealt.unionByName(part)
+    return dealt if dealt is not None else samples.select("key", F.lit(None).cast("string").alias("split"))
 
 
 def random_holdout(rows: DataFrame, key: str = "visit_id", runs: int = 3, validation: float = 0.15, seed: int = 42) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Titles and degrees that lose their points before symbols are stripped.
@@ -22,12 +22,14 @@ def clean(text: Column, abbreviations: tuple[str, ...] = ABBREVIATIONS) -> Colum
     return F.trim(F.regexp_replace(F.regexp_replace(t, r"[^\p{L}\p{N} ]", " "), " +", " "))
 
 
-def chunk(notes: DataFrame, size: int = 512, tail: str = "keep", least: int = 32) -> DataFrame:
-    """(…, chunk_no, n_chunks, text, n_tokens): runs of ``size`` words.
+def chunk(notes: DataFrame, size: int = 512, tail: str = "keep", least: int = 32, unit: str = "word") -> DataFrame:
+    """(…, chunk_no, n_chunks, text, n_tokens): runs of ``size`` words, or of words of about ``size`` sub-words with ``unit`` "subword_estimate".
 
     ``tail``: a last chunk of fewer than ``least`` words is kept, merged into the one before, or dropped; a note's only chunk
     always stays.
     """
+    if unit == "subword_estimate":
+        return _by_subwords(notes, size)
     words = F.filter(F.split("text", " "), lambda w: w != "")
     rows = notes.withColumn("_w", words).filter(F.size("_w") > 0).withColumn("_n", F.size("_w"))
     full, rest = F.floor(F.col("_n") / size).cast("int"), F.col("_n") % size
@@ -40,6 +42,24 @@ def chunk(notes: DataFrame, size: int = 512, tail: str = "keep", least: int = 32
     return part.select(*keep, F.col("_i").alias("chunk_no"), "n_chunks", F.array_join("_p", " ").alias("text"), F.size("_p").alias("n_tokens"))
 
 
+#: Letters of a sub-word, on average.
+SUBWORD = 4
+
+
+def _by_subwords(notes: DataFrame, size: int) -> DataFrame:
+    """A word costs a sub-word for every ``SUBWORD`` letters begun and ends in the chunk where its cost begins; chunks hold the budget but for their last word."""
+    keep = [c for c in notes.columns if c != "text"]
+    words = notes.select(F.struct(*keep).alias("_k"), F.posexplode(F.filter(F.split("text", " "), lambda w: w != "")).alias("_i", "_w"))
+    before = Window.partitionBy("_k").orderBy("_i").rowsBetween(Window.unboundedPreceding, -1)
+    cost = F.ceil(F.length("_w") / SUBWORD)
+    rows = words.withColumns({"chunk_no": F.floor(F.coalesce(F.sum(cost).over(before), F.lit(0)) / size), "_c": cost})
+    # Chunk numbers may skip one where a single word is longer than a chunk.
+    made = rows.groupBy("_k", "chunk_no").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("_i", "_w"))), lambda x: x["_w"]), " ").alias("text"), F.sum("_c").cast("int").alias("n_tokens"))
+    own = Window.partitionBy("_k")
+    made = made.withColumns({"chunk_no": (F.row_number().over(own.orderBy("chunk_no")) - 1).cast("int"), "n_chunks": F.count("*").over(own).cast("int")})
+    return made.select("_k.*", "chunk_no", "n_chunks", "text", "n_tokens")
+
+
 def chunk_stats(chunks: DataFrame, by: list[str] | None = None) -> DataFrame:
     """Notes, chunks and the most chunks of a note."""
     per_note = chunks.groupBy(*(by or []), "note_id").agg(F.count("*").alias("c"))

@@ -143,7 +143,7 @@ class Prepared:
             if cfg.folds == "holdout":
                 return folds.random_holdout(enc, runs=3).select("visit_id", "run", F.when(F.col("split") == "train", "train").otherwise("test").alias("role"))
             samples = self.codes("D", cfg.level)[0].select(F.col("visit_id").alias("key"), F.col("codes").alias("labels"))
-            each = [folds.iterative_label_split(samples, {"train": 8, "validation": 1, "test": 1}, seed=42 + i).select(F.col("key").alias("visit_id"), F.lit(i).alias("run"), F.col("split").alias("role")) for i in range(10)]
+            each = [folds.iterative_label_split(samples, {"train": 8, "validation": 1, "test": 1}, seed=42 + i).select(F.col("key").alias("visit_id"), F.lit(i).alias("run"), F.col("split").alias("role")) for i in range(3)]
             out = each[0]
             for e in each[1:]:
                 out = out.unionByName(e)
@@ -256,7 +256,7 @@ def window_batch(n_classes: int, first: int, width: int, k: int | None, multi_ho
 
 def turns(cfg: Config) -> int:
     """Rotations that the fold scheme has."""
-    return {"visit5": 5, "holdout": 3}.get(cfg.folds, 10)
+    return {"visit5": 5, "holdout": 3, "labels": 3}.get(cfg.folds, 10)
 
 
 def roles(rows: DataFrame, prep: Prepared, cfg: Config) -> DataFrame:
@@ -487,7 +487,7 @@ def measures_of(each: DataFrame) -> list[str]:
 
 
 def in_full(configs: list[Config]) -> list[Config]:
-    """Configurations with every rotation of their folds: ten, five of ``visit5``, three holdouts."""
+    """Configurations with every rotation of their folds: ten, five of ``visit5``, three of holdouts and of splits by labels."""
     return [replace(c, scale=replace(c.scale, rotations=tuple(range(turns(c))))) for c in configs]
 
 

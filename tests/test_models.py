@@ -208,7 +208,7 @@ def test_results_tables_are_registered_whole(monkeypatch):
     names = lambda configs: [c.name for c in configs]
     assert names(M.TABLES["w_tab_d"]) == names(presets.next_codes("parent")) and names(M.TABLES["w_tab_m"]) == names(presets.on_multi_hot())
     assert names(M.TABLES["w_tab_s"]) == names(M.TABLES["m_trajectory_eval"]) == names(presets.on_vectors())
-    turns = {"visit5": 5, "holdout": 3}
+    turns = {"visit5": 5, "holdout": 3, "labels": 3}
     assert all(c.scale.rotations == tuple(range(turns.get(c.folds, 10))) for configs in M.TABLES.values() for c in configs)
     monkeypatch.setattr(M.X, "run_all", lambda s, d, configs: configs)
     sweep = QUERIES["w_width_sweep"](None, "")

@@ -209,3 +209,49 @@ def test_curves_bring_no_scores_to_one_task(spark):
     plan = metrics.curve(scores)._jdf.queryExecution().executedPlan().toString()
     ordered = [part for part in plan.split("Window ")[1:] if "SinglePartition" in part.split("Window ")[0]]
     assert all("_s" in part.split("\n")[0] and " p#" not in part.split("\n")[0].split("windowspecdefinition")[-1] for part in ordered)
+
+
+def test_label_split_meets_the_demand_of_every_label(spark):
+    """Rarest labels first, each round dealt by what earlier ones left: every label's share of a split is near its ratio."""
+    import random
+
+    from carepath.operators import folds
+
+    random.seed(6)
+    rows = [(i, sorted({f"c{min(int(random.expovariate(0.35)), 14)}" for _ in range(random.randint(1, 5))})) for i in range(1500)] + [(5000, [])]
+    ratios = {"train": 8.0, "validation": 1.0, "test": 1.0}
+    got = {r.key: r.split for r in folds.iterative_label_split(spark.createDataFrame(rows, "key long, labels array<string>"), ratios).collect()}
+    assert set(got) == {i for i, _ in rows}
+    for label in {x for _, v in rows for x in v}:
+        own = [got[i] for i, v in rows if label in v]
+        for split, ratio in ratios.items():
+            assert abs(own.count(split) - ratio / 10 * len(own)) <= max(2.0, 0.03 * len(own)), (label, split)
+
+
+def test_chunks_by_sub_words(spark):
+    from carepath.operators import notes
+
+    texts = [(1, "aaaa bb cccccccc d " * 9), (2, "x" * 50), (3, ""), (4, None)]
+    rows = notes.chunk(spark.createDataFrame(texts, "note_id long, text string"), size=10, unit="subword_estimate").collect()
+    for i, text in texts:
+        own = sorted((r for r in rows if r.note_id == i), key=lambda r: r.chunk_no)
+        assert " ".join(r.text for r in own) == " ".join((text or "").split()) and [r.chunk_no for r in own] == list(range(len(own)))
+        for r in own:
+            costs = [-(-len(w) // 4) for w in r.text.split(" ")]
+            assert sum(costs) == r.n_tokens and sum(costs[:-1]) < 10 + costs[-1] and r.n_chunks == len(own)
+
+
+def test_lsh_recall(spark):
+    """The registered search finds 0.9 or more of the pairs within its distance, by brute force on the whole table."""
+    import numpy as np
+
+    from carepath.queries import queries
+
+    sf = "/root/testdata/sf0.001"
+    e = spark.read.parquet(f"{sf}/embeddings.parquet").toPandas()
+    x, ids = np.stack(e.embedding).astype(float), e.vec_id.to_numpy()
+    asked = ids % 100 == 0
+    far = np.sqrt(((x[asked][:, None] - x[None]) ** 2).sum(-1))
+    want = {(int(a), int(b)) for a, row in zip(ids[asked], far, strict=True) for b, d in zip(ids, row, strict=True) if d <= 1.35 and a != b}
+    got = {(r.query_id, r.vec_id) for r in queries()["v_nearest_lsh"](spark, sf).collect()}
+    assert want and got <= want and len(got) >= 0.9 * len(want)
