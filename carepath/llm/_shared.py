@@ -39,6 +39,16 @@ def scratch_path(spark: SparkSession, tag: str) -> str:
 WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2500"}
 
 
+#: For Python workers: what they have freed goes back to the system at once, instead of staying with a worker that waits for its next task.
+LEAN = {"ARROW_DEFAULT_MEMORY_POOL": "system", "MALLOC_TRIM_THRESHOLD_": str(1 << 20), "MALLOC_MMAP_THRESHOLD_": str(1 << 18), "MALLOC_ARENA_MAX": "2"}
+
+
+def lean_workers(spark: SparkSession) -> None:
+    """Workers started from now on get ``LEAN``; what the session sets itself stays."""
+    for name, value in LEAN.items():
+        spark.sparkContext.environment.setdefault(name, value)
+
+
 @contextmanager
 def _settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
     """Runtime settings for the queries inside; afterwards they are as before."""
@@ -55,6 +65,7 @@ def _settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
 def written(df: DataFrame, tag: str) -> DataFrame:
     """The rows of ``df`` as a Parquet table in the shared folder: lineage ends there and a lost executor costs only a reread."""
     spark = df.sparkSession
+    lean_workers(spark)
     path = scratch_path(spark, tag)
     with _settings(spark, WRITING):
         df.write.parquet(path)
@@ -99,4 +110,5 @@ def restored(df: DataFrame, keep: tuple[str, ...], outputs: list[str]) -> DataFr
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    lean_workers(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
