@@ -49,7 +49,7 @@ COMPILED = (*range(0x250), *range(0x2010, 0x2060), *range(0x20A0, 0x20C0))
 CHUNK = 128
 #: Words kept by a worker, and transitions of its word machine.
 MEMO = 1 << 19
-TRANSITIONS = 1 << 21
+TRANSITIONS = 1 << 19
 
 
 def splitter() -> tuple[np.ndarray, np.ndarray]:

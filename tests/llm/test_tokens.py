@@ -41,7 +41,7 @@ def test_transitions_add_up_to_the_merges(machine, monkeypatch):
     """Random words over few letters, whose encodings change much while they are read; forgetting what was compiled changes nothing."""
     random.seed(4)
     words = ["".join(random.choice("theinrasong") for _ in range(random.randint(1, 14))) for _ in range(3000)]
-    for bound in (1 << 21, 100):
+    for bound in (1 << 19, 100):
         monkeypatch.setattr(T, "TRANSITIONS", bound)
         assert [machine.machine.count(w.encode()) for w in words] == [by_library(w) for w in words]
 
