@@ -77,19 +77,19 @@ def test_whole_table(spark):
         assert {r.doc_id: (r.n_shingles, r.component_id) for r in J.joined(docs, spec).collect()} == brute(rows, spec)
 
 
-@pytest.mark.parametrize("small, crowded, frequent", [(4, 60, 16), (32, 4096, 1 << 30)])
+@pytest.mark.parametrize("small, crowded, frequent", [(4, 30, 16), (32, 4096, 1 << 30)])
 def test_group_of_near_copies(spark, monkeypatch, small, crowded, frequent):
     """Copies of one text with random edits, some below the threshold with all others, beside texts that share a passage with them."""
     for name, value in (("SMALL", small), ("CROWDED", crowded), ("FREQUENT", frequent)):
         monkeypatch.setattr(J, name, value)
     random.seed(8)
     base, rows = [f"w{i}" for i in range(80)], []
-    for i in range(180):
+    for i in range(60):
         t = list(base)
         for _ in range(random.choice([0, 1, 1, 2, 3, 4])):
             t[random.randrange(80)] = f"x{i}"
         rows.append((i, " ".join(t)))
-    rows += [(1000 + i, " ".join(base[:12] + [f"y{i}.{j}" for j in range(random.randint(20, 60))])) for i in range(30)]
+    rows += [(1000 + i, " ".join(base[:12] + [f"y{i}.{j}" for j in range(random.randint(20, 60))])) for i in range(12)]
     spec = J.JoinSpec(3, 80)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in J.joined(spark.createDataFrame(rows, "doc_id long, text string").repartition(5), spec).collect()}
     assert got == brute(rows, spec)
