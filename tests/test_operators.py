@@ -187,6 +187,12 @@ def test_logistic_reference_orders_like_the_feature(spark):
     assert metrics.roc_auc(reference.logistic(rows, rows, ["gap"], "y")).first().auc == 1.0
 
 
+def test_comparison_with_a_base_of_zero(spark):
+    rows = spark.createDataFrame([("base", 0.0, 0.5), ("other", 0.25, 0.75), ("none", 0.0, None)], "config string, f1 double, aupr double")
+    got = {r.config: tuple(r)[1:] for r in metrics.compare(rows, "config", "base", ["f1", "aupr"]).collect()}
+    assert got == {"base": (0.0, 0.0, None, 0.0), "other": (25.0, 25.0, None, 50.0), "none": (0.0, None, None, None)}
+
+
 def test_prefixes_of_a_long_history_are_whole(spark):
     v = spark.sql("SELECT 1L AS subject_id, id AS visit_id, timestamp_ntz'2020-01-01' + make_interval(0, 0, 0, CAST(id AS INT)) AS admit_ts FROM range(131)")
     got = {r.target_visit: r.visit_ids for r in sequences.prefixes(v).collect()}
