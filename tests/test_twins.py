@@ -20,3 +20,9 @@ def con():
 def test_query_equals_its_twin(spark, con, name):
     got = core.queries()[name](spark, SF).toPandas()
     assert twins.rows(got) == twins.rows(con.sql(core.oracle_sql()[name]).df())
+
+
+@pytest.mark.parametrize("name, tables", [("d_rotation_8_1_1", {"orders", "lineitem"}), ("d_rotation_3_1_1", {"orders", "lineitem"}), ("r16_grid", {"orders", "lineitem"})])
+def test_query_reads_given_tables(spark, name, tables):
+    files = core.queries()[name](spark, SF).inputFiles()
+    assert {Path(f).stem for f in files} == tables
