@@ -95,6 +95,31 @@ def test_group_of_near_copies(spark, monkeypatch, small, crowded, frequent):
     assert got == brute(rows, spec)
 
 
+def test_rows_grow_with_a_group_not_its_pairs(spark, monkeypatch):
+    """A group of texts that the bound can't tell from near copies, nearly all below the threshold with each other."""
+    random.seed(5)
+    base, rows = [f"w{i}" for i in range(600)], []
+    for i in range(150):
+        t = list(base)
+        for j in range(8):
+            t[75 * j + random.randrange(70)] = f"x{i}"
+        rows.append((i, " ".join(t)))
+    made, written = {}, J.written
+
+    def counted(df, tag):
+        out = written(df, tag)
+        made[tag] = out.count()
+        return out
+
+    monkeypatch.setattr(J, "written", counted)
+    monkeypatch.setattr(J, "SMALL", 8)
+    for limit in (J.TILE_SHINGLES, 20_000):  # as a whole, and as fragments
+        monkeypatch.setattr(J, "TILE_SHINGLES", limit)
+        got = {r.doc_id: (r.n_shingles, r.component_id) for r in J.joined(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()}
+        assert got == brute(rows, J.JoinSpec()) and len({c for _, c in got.values()}) > 1
+        assert made["join-found"] < 10 * len(rows) and made["join-rest-tiles"]
+
+
 def test_odd_rows(spark, odd, none):
     got = J.joined(odd).collect()
     assert len(got) == odd.count()
