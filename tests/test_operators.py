@@ -261,3 +261,25 @@ def test_lsh_recall(spark):
     want = {(int(a), int(b)) for a, row in zip(ids[asked], far, strict=True) for b, d in zip(ids, row, strict=True) if d <= 1.35 and a != b}
     got = {(r.query_id, r.vec_id) for r in queries()["v_nearest_lsh"](spark, sf).collect()}
     assert want and got <= want and len(got) >= 0.9 * len(want)
+
+
+def test_lsh_exchanges_no_vectors(spark, monkeypatch):
+    """Items are read once and kept where they are; repeated rows count once, rows without a vector or an id never."""
+    import io
+    from contextlib import redirect_stdout
+
+    from carepath.functions import vectors
+
+    e = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").select("vec_id", "embedding")
+    asked = e.filter("vec_id % 100 = 0")
+    once = vectors.nearest_lsh(e, asked, 1.35, bucket=2.0)
+    with redirect_stdout(io.StringIO()) as plan:
+        once.explain()
+    assert "Exchange" not in plan.getvalue() and "Join" not in plan.getvalue()
+    want = sorted(map(tuple, once.collect()))
+    odd = spark.createDataFrame([(None, [0.0] * 64), (100, None), (7, None)], "vec_id long, embedding array<float>")
+    monkeypatch.setattr(vectors, "HELD_QUERIES", 2)
+    more = e.unionByName(e.filter("vec_id < 50")).unionByName(odd)
+    got = sorted(map(tuple, vectors.nearest_lsh(more, asked.unionByName(asked).unionByName(odd), 1.35, bucket=2.0).collect()))
+    assert want and [g[:2] for g in got] == [w[:2] for w in want]
+    assert vectors.nearest_lsh(e.limit(0), asked, 1.35).count() == 0
