@@ -1,5 +1,6 @@
 import hashlib
 import random
+import time
 
 import numpy as np
 
@@ -50,3 +51,27 @@ def test_odd_rows(spark, odd, none):
     got = S.deduplicated(odd, keep_text=True).collect()
     assert len(got) == odd.count() and all(r.n_removed == 0 for r in got)
     assert S.deduplicated(none).count() == 0
+
+
+def test_buckets_follow_the_size_of_the_texts(spark, monkeypatch):
+    """What a worker unpacks at once doesn't grow with the table; the rows are the same."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").limit(150)
+    want = sorted(map(tuple, S.deduplicated(docs).collect()))
+    asked, anchors = [], S._anchors
+    monkeypatch.setattr(S, "_anchors", lambda texts, spec, buckets: asked.append(buckets) or anchors(texts, spec, buckets))
+    monkeypatch.setattr(S, "BUCKET_BYTES", 1000)
+    assert sorted(map(tuple, S.deduplicated(docs).collect())) == want
+    assert asked[0] >= sum(r[1] for r in want) // 1000 > 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def test_ties_of_several_residues_are_compared_at_once():
+    """Order as far as the depth, for texts that repeat at every offset."""
+    rng = np.random.default_rng(4)
+    base = rng.integers(97, 100, 300).astype(np.uint8)
+    text = np.concatenate([np.concatenate([rng.integers(97, 123, int(rng.integers(1, 40))).astype(np.uint8), base]) for _ in range(400)])
+    at = np.arange(len(text) - 50)
+    began = time.process_time()
+    order = S.suffix_order(text, at, 50)
+    assert time.process_time() - began < 3
+    strings = [text[i : i + 50].tobytes() for i in order]
+    assert sorted(order.tolist()) == at.tolist() and all(a <= b for a, b in zip(strings[:-1], strings[1:], strict=True))
