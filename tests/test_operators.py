@@ -283,3 +283,11 @@ def test_lsh_exchanges_no_vectors(spark, monkeypatch):
     got = sorted(map(tuple, vectors.nearest_lsh(more, asked.unionByName(asked).unionByName(odd), 1.35, bucket=2.0).collect()))
     assert want and [g[:2] for g in got] == [w[:2] for w in want]
     assert vectors.nearest_lsh(e.limit(0), asked, 1.35).count() == 0
+
+
+def test_chunks_of_all_rotations_are_merged_in_one_pass(spark):
+    rows = [(r, v, c, int(v == 1), (r + v + c + k) / 10) for r in (0, 1) for v in (1, 2) for c in (0, 1) for k in range(v)]
+    scores = spark.createDataFrame(rows, "rotation int, sample_id long, class_id int, y int, p double")
+    together = sorted(map(tuple, scoring.merge_chunks(scores, per=("rotation",)).collect()))
+    alone = sorted((r, *m) for r in (0, 1) for m in scoring.merge_chunks(scores.filter(F.col("rotation") == r)).collect())
+    assert together == alone
