@@ -1,3 +1,5 @@
+from dataclasses import replace
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -213,3 +215,76 @@ def test_results_tables_are_registered_whole(monkeypatch):
     monkeypatch.setattr(M.X, "run_all", lambda s, d, configs: configs)
     sweep = QUERIES["w_width_sweep"](None, "")
     assert [c.scale.temporal_width for c in sweep] == [1, 2, 5, 10, 20, 50, 100, 200, 500] and all(c.scale.rotations == tuple(range(10)) for c in sweep)
+
+
+def test_parts_are_the_roles_of_every_rotation(spark):
+    """Rows once with their parts tell what a copy of each row for every rotation told, balanced ones too."""
+    prep = X.Prepared(spark, "/root/testdata/sf0.001")
+    for settings in ({}, {"balance": None}, {"folds": "visit5", "balance": "once"}, {"folds": "holdout", "balance": None}, {"folds": "labels", "balance": None, "task": "codes", "target": "current"}):
+        cfg = X.Config("c", **settings)
+        cfg = replace(cfg, scale=X.Scale(rotations=tuple(range(X.turns(cfg)))[1:]))
+        base = X.visits(prep, cfg)[0]
+        base = X.folds.balance_once(base) if cfg.balance == "once" else base
+        key = ["rotation", "role", "visit_id"]
+        want = X.balanced(X.roles(base, prep, cfg), cfg).select(*key).collect()
+        got = X.unfolded(X.parted(base, prep, cfg), cfg.scale.rotations).select(*key).collect()
+        assert len(want) > 20 and sorted(got) == sorted(want)
+
+
+def test_measures_of_arrays_are_those_of_cells(spark):
+    from carepath.measures import metrics
+
+    rng = np.random.default_rng(1)
+    rows = [(r, i, sorted({int(c) for c in rng.integers(0, 7, rng.integers(0, 4))}), [round(float(v), 2) for v in rng.random(7)]) for r in (2, 5) for i in range(150)]
+    rows += [(8, 1, [], [0.5] * 7), (9, 1, [3], [0.0] * 6 + [1.0])]
+    arrays = spark.createDataFrame(rows, "rotation int, sample_id long, y array<int>, p array<double>").repartition(3)
+    cells = arrays.selectExpr("rotation", "sample_id", "posexplode(p) AS (class_id, p)", "y AS t").selectExpr("rotation", "sample_id", "class_id", "p", "CAST(array_contains(t, class_id) AS int) AS y")
+    for task in ("binary", "multilabel"):
+        want = {r.rotation: r.asDict() for r in metrics.suite(cells, task, (1, 3), per=["rotation"]).collect()}
+        got = {r.rotation: r.asDict() for r in metrics.suite_arrays(arrays, task, (1, 3)).collect()}
+        assert got.keys() == want.keys()
+        for r, measures in want.items():
+            assert list(got[r]) == list(measures) and all(got[r][k] == pytest.approx(v, abs=1e-12) for k, v in measures.items())
+
+
+def test_tuned_encoders_of_all_rotations_are_those_of_each(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    rows = [(i, i % 2, i % 3 - 1, " ".join([f"w{v}" for v in rng.integers(0, 50, 25)] + [f"y{i % 2}"])) for i in range(90)] + [(90, 0, 0, ""), (91, 1, 1, "w1  w1 unseen")]
+    texts = spark.createDataFrame(rows, "visit_id long, y int, part int, text string")
+    cases = [X.F.col("part") == 0, X.F.col("part") >= 0, X.F.col("part") > 5]
+    for most in (50_000, 10):
+        monkeypatch.setattr(encoders, "TUNED_WORDS", most)
+        got = {r.visit_id: np.array(r.vec).reshape(3, 8) for r in encoders.encode_each(texts, encoders.label_tuned_each(texts, "y", cases, 8), ("visit_id",)).collect()}
+        for i, case in enumerate(cases):
+            want = encoders.encode_text(texts, encoders.label_tuned(texts.filter(case), "y", 8), ("visit_id",)).collect()
+            assert len(want) == len(got) == 92 and all(np.allclose(got[r.visit_id][i], r.vec, atol=1e-5) for r in want)
+
+
+def test_samples_stay_short_until_they_are_taken():
+    """A long history or many classes cost room for the rows of a mini-batch only, and a held-out loss runs no backward pass."""
+    n = 300
+    table = pa.table({"steps": pa.array([[[2, 3]] * (1 + i % 40) for i in range(n)], pa.list_(pa.list_(pa.int32()))), "mask": [[True] * (1 + i % 40) for i in range(n)], "y": pa.array([[2]] * n, pa.list_(pa.int32()))})
+    held = X.Windows(4000, 2, 4000, None, "ids", 2).hold(table)
+    batch = held.take(np.array([0, 2]))
+    assert batch.x["window"].shape == (2, 3, 4000) and batch.y.shape == (2, 4000) and batch.x["window"].sum() == 8
+    outer, on, given, number, visits = held.x
+    assert sum(a.nbytes for a in (outer.at, on.at, on.flat, given, number, visits.at, visits.flat)) < 1_000_000  # dense: 384 MB
+    m = TrajectoryModel(4000, 4000, "gru", 2)
+    m.backward = None
+    assert TR.mean_loss(m, held.only(np.arange(4))) > 0
+
+
+def test_rotations_beyond_a_task_are_trained_in_the_same_jobs(spark):
+    """All rotations in a few jobs, with the scores of every test row; before, each rotation had jobs of its own."""
+    rows = frame(spark, 300).selectExpr("*", "array(CAST(sample_id % 3 AS tinyint), CAST((sample_id + 1) % 3 AS tinyint)) AS parts").repartition(20)
+    build, turns = X.as_batch(("gap",), 1, 0), [X.Turn({"gap": (0.0, 1.0)}), X.Turn({"gap": (0.0, 0.5)})]
+    m = VisitModel(FeatureSpec(gap=True), 1, d=4, temporal_width=8, dropout=0.0)
+    spark.sparkContext.setJobGroup("turns", "")
+    weights, fitted = TR.fit_turns(m, rows, build, TR.TrainSpec(epochs=4, rate=2e-2, local_steps=30), turns)
+    jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup("turns"))
+    spark.sparkContext.setJobGroup("", "")
+    assert jobs < 60 and [f.steps for f in fitted] == [120, 120] and not np.allclose(*weights)
+    scores = TR.score_turns(m, rows, build, turns, (4, 7), weights).collect()
+    assert sorted((r.rotation, r.sample_id) for r in scores) == sorted([(4, i) for i in range(2, 300, 3)] + [(7, i) for i in range(1, 300, 3)])
+    right = sum((r.p[0] >= 0.5) == bool(r.y) for r in scores if r.rotation == 4)
+    assert right > 85
