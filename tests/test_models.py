@@ -288,3 +288,12 @@ def test_rotations_beyond_a_task_are_trained_in_the_same_jobs(spark):
     assert sorted((r.rotation, r.sample_id) for r in scores) == sorted([(4, i) for i in range(2, 300, 3)] + [(7, i) for i in range(1, 300, 3)])
     right = sum((r.p[0] >= 0.5) == bool(r.y) for r in scores if r.rotation == 4)
     assert right > 85
+
+
+def test_scoring_vectors_are_those_of_training():
+    """Codes normed by the table and times by their different values give what each row by itself gives."""
+    rng = np.random.default_rng(5)
+    m = VisitModel(FeatureSpec.of("dx+gap+text"), 3, {"dx": rng.normal(size=(9, 4))}, {"dx": 5}, 4, 6, dropout=0.3)
+    b = Batch({"dx": rng.integers(0, 9, (40, 5)), "gap": rng.integers(0, 4, 40) / 4, "text": rng.normal(size=(40, 4))}, np.zeros((40, 3)))
+    assert np.allclose(m.scored_vector(b), m.visit_vector(b)) and np.allclose(m.scored_logits(b), m.logits(b))
+    assert m.value(b) == pytest.approx(m.loss(b))
