@@ -252,9 +252,11 @@ def test_tuned_encoders_of_all_rotations_are_those_of_each(spark, monkeypatch):
     rows = [(i, i % 2, i % 3 - 1, " ".join([f"w{v}" for v in rng.integers(0, 50, 25)] + [f"y{i % 2}"])) for i in range(90)] + [(90, 0, 0, ""), (91, 1, 1, "w1  w1 unseen")]
     texts = spark.createDataFrame(rows, "visit_id long, y int, part int, text string")
     cases = [X.F.col("part") == 0, X.F.col("part") >= 0, X.F.col("part") > 5]
-    for most in (50_000, 10):
-        monkeypatch.setattr(encoders, "TUNED_WORDS", most)
-        got = {r.visit_id: np.array(r.vec).reshape(3, 8) for r in encoders.encode_each(texts, encoders.label_tuned_each(texts, "y", cases, 8), ("visit_id",)).collect()}
+    for most in (64 << 20, 10):
+        monkeypatch.setattr(encoders, "TUNED_BYTES", most)
+        tuned = encoders.label_tuned_each(texts, "y", cases, 8)
+        assert (tuned.table is None) == (most > 10)
+        got = {r.visit_id: np.array(r.vec).reshape(3, 8) for r in encoders.encode_each(texts, tuned, ("visit_id",)).collect()}
         for i, case in enumerate(cases):
             want = encoders.encode_text(texts, encoders.label_tuned(texts.filter(case), "y", 8), ("visit_id",)).collect()
             assert len(want) == len(got) == 92 and all(np.allclose(got[r.visit_id][i], r.vec, atol=1e-5) for r in want)
