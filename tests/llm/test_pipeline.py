@@ -57,3 +57,15 @@ def test_stages_against_brute_force(spark):
     want = {r[0]: r[1] for r in con.sql(f"SELECT doc_id, taken FROM ({ORACLES['op7_pareto_mix']})").fetchall()}
     got = {r.doc_id: (r.taken, r.copies) for r in mixed.collect()}
     assert {i: t for i, (t, _) in got.items() if t} == {i: t for i, t in want.items() if t} and all(c > 0 for _, c in got.values())
+
+
+def test_stages_give_unused_heap_back(spark, none):
+    """Each stage begins with a full collection on the executors, the only one in which their heap shrinks."""
+    import corpus_pipeline as P
+
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    full = lambda: sum(b.getCollectionCount() for b in beans if "Old" in b.getName() or "MarkSweep" in b.getName())
+    for _, stage in P.STAGES:
+        before = full()
+        stage(spark, none, SF)
+        assert full() > before
