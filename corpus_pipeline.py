@@ -13,7 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from carepath.llm import mixing, ngram_join, secrets, tiling, toxicity
-from carepath.llm._shared import give_back, table, written
+from carepath.llm._shared import table, written
+from carepath.session import give_back
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 

@@ -299,3 +299,32 @@ def test_scoring_vectors_are_those_of_training():
     b = Batch({"dx": rng.integers(0, 9, (40, 5)), "gap": rng.integers(0, 4, 40) / 4, "text": rng.normal(size=(40, 4))}, np.zeros((40, 3)))
     assert np.allclose(m.scored_vector(b), m.visit_vector(b)) and np.allclose(m.scored_logits(b), m.logits(b))
     assert m.value(b) == pytest.approx(m.loss(b))
+
+
+def test_held_rows_are_bounded():
+    """What a task holds, and makes dense where nothing is learned, does not grow with its rows; losses and scores stay."""
+    from carepath.models import packed
+
+    rng = np.random.default_rng(3)
+    sizes = rng.integers(1, 40, 3000)
+    steps = [[rng.integers(1, 51, 3).tolist() for _ in range(n)] for n in sizes]
+    table = pa.table({"steps": pa.array(steps, pa.list_(pa.list_(pa.int32()))), "mask": [[True] * n for n in sizes], "y": pa.array([s[-1] for s in steps], pa.list_(pa.int32()))})
+    made = []
+
+    class Seen(packed.Windows):
+        def dense(self, x, at, turn):
+            out = super().dense(x, at, turn)
+            made.append(out[0]["window"].size)
+            return out
+
+    rows = Seen(50, 1, 50, None, "ids", 1).hold(table)
+    m = TrajectoryModel(50, 50, "minimal_gru", 4, bidirectional=True, head="softmax")
+    whole = m.value(rows.take(np.arange(len(rows))))
+    assert made.pop() > packed.DENSE_CELLS
+    assert abs(TR.mean_loss(m, packed.by_length(rows)) - whole) < 1e-9
+    got = np.concatenate([p for _, _, p in TR.scored(m, packed.by_length(rows))])
+    assert max(made) <= packed.DENSE_CELLS
+    order = packed.by_length(rows).rows
+    assert np.allclose(got[np.argsort(order)][:50], m.probabilities(rows.take(np.arange(50))))
+    parts = list(TR.slices(iter(table.to_batches(max_chunksize=100)), 1 << 16))
+    assert pa.concat_tables(parts).equals(table) and max(sum(b.nbytes for b in p.to_batches()) for p in parts) <= 1 << 16 and len(parts) > 1
