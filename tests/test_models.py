@@ -328,3 +328,43 @@ def test_held_rows_are_bounded():
     assert np.allclose(got[np.argsort(order)][:50], m.probabilities(rows.take(np.arange(50))))
     parts = list(TR.slices(iter(table.to_batches(max_chunksize=100)), 1 << 16))
     assert pa.concat_tables(parts).equals(table) and max(sum(b.nbytes for b in p.to_batches()) for p in parts) <= 1 << 16 and len(parts) > 1
+
+
+def test_training_knows_no_size_and_no_partitions(spark, monkeypatch):
+    """The same weights whatever a task was said to hold and however rows were dealt; every block takes each of its training rows once an epoch."""
+    enc = frame(spark, 300).selectExpr("*", "array(CAST(sample_id % 3 AS tinyint)) AS parts", "sample_id AS subject_id")
+    build = X.as_batch(("gap",), 1, 0)
+    monkeypatch.setattr(TR, "BLOCK_ROWS", 100)
+    got = []
+    for most, dealt in ((200_000, 1), (5, 1), (5, 7)):
+        m = VisitModel(FeatureSpec(gap=True), 1, d=4, temporal_width=8, dropout=0.0)
+        rows = X.written(TR.in_blocks(enc.repartition(dealt)))
+        monkeypatch.setattr(X, "spec_of", lambda cfg, most=most: TR.TrainSpec(batch=8, epochs=3, rate=2e-2, driver_rows=most))
+        t = X.trained(X.Config("c", features="gap", scale=X.Scale(rotations=(0,))), m, rows, build, ["gap"])
+        got.append((t.told.first(), sorted((r.sample_id, r.p) for r in t.scores.collect())))
+    assert [len(s) for _, s in got] == [100] * 3 and got[0][0].train_rows == 100 and got[0][0].steps == 3 * -(-100 // (8 * 3))
+    for told, scores in got[1:]:
+        assert np.allclose(np.frombuffer(told.weights), np.frombuffer(got[0][0].weights)) and np.allclose(scores, got[0][1])
+    taken = []
+    monkeypatch.setattr(X.Visits, "dense", lambda self, x, at, turn, old=X.Visits.dense: taken.extend(x["gap"][at]) or old(self, x, at, turn))
+    table = rows.filter("block = 1").toArrow()
+    collected = lambda df, b, turns, model, weights, part, work: [(*work(model, b.hold(table), 0), len(table))]
+    monkeypatch.setattr(TR, "_by_turn", collected)
+    TR.fit_turns(m, rows, build, TR.TrainSpec(batch=8, epochs=1), [X.Turn()], blocks=3)
+    assert len(table) > 30 and sorted(taken) == sorted(2 * table.column("gap").to_pylist())  # in training, and in the held-out pass of this stand-in
+
+
+def test_blocks_of_a_task_are_kept_apart():
+    batches = pa.table({"block": [4, 4, 4, 7, 7, 9], "i": range(6)}).to_batches(max_chunksize=2)
+    assert [t.column("i").to_pylist() for t in TR.by_block(iter(batches))] == [[0, 1, 2], [3, 4], [5]]
+
+
+def test_vectors_made_once_are_those_of_each_batch():
+    rng = np.random.default_rng(2)
+    visit = VisitModel(FeatureSpec.of("dx+gap"), 3, {"dx": rng.normal(size=(9, 4))}, {"dx": 2}, 4, 6)
+    steps = [[None if i % 5 == 0 else {"visit_id": i - 1, "dx": [i % 9, 3], "gap": 1.0 * i}, {"visit_id": i, "dx": [(i + 1) % 9, 3], "gap": 1.0 * (i + 1)}] for i in range(40)]
+    table = pa.table({"steps": steps, "mask": [[s[0] is not None, True] for s in steps], "y": pa.array([[1]] * 40, pa.list_(pa.int32()))})
+    held = X.Windows(3, 0, visit.spec.width(4, 6), 2, visit.spec.names).hold(table).turned(X.Turn({"gap": (0.0, 40.0)}, below=X.pickle.dumps(visit)))
+    at = np.array([3, 0, 17, 39])
+    want, got = held.take(at), TR.made_once(held).take(at)
+    assert np.allclose(want.x["window"], got.x["window"], atol=1e-6) and (want.mask == got.mask).all() and want.x["window"].any()
