@@ -55,3 +55,30 @@ def test_odd_rows(spark, odd, none):
     got = T.scored(odd, model, tuple(odd.columns)).collect()
     assert len(got) == odd.count() and all(0 <= r.score <= 1 for r in got) and "score_in" in got[0].asDict()
     assert T.scored(none, model).count() == 0
+
+
+def test_every_labelled_row_is_learned_from(spark):
+    """No label is left out however many rows it has; blocks, models and thresholds do not depend on how rows were dealt."""
+    from dataclasses import replace
+
+    rows = corpus(700, 2)
+    docs = spark.createDataFrame([(i, t, lang) for i, t, _, lang in rows], "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, y) for i, _, y, _ in rows], "doc_id long, toxic int")
+    spec = replace(T.TrainSpec(), buckets=1 << 10, block_rows=200, epochs=2)
+    usable = {r.doc_id: r.toxic for r in labels.filter(T.remainder(labels.doc_id) != 2).collect()}
+    used = T.examples(docs, labels.filter(T.remainder(labels.doc_id) != 2).withColumnRenamed("toxic", "_y"), 3, spec).collect()
+    assert len(used) == len(usable) > 450 and sum(r.y for r in used) == sum(usable.values())
+    texts = {i: t for i, t, _, _ in rows}
+    words = lambda t: T.tokens(T._as_block([t]), spec).ids.tolist()
+    assert sorted(r.ids for r in used) == sorted(words(texts[i]) for i in usable)
+    one, other = T.fit(docs, labels, spec=spec), T.fit(docs.repartition(7), labels.repartition(3), spec=spec)
+    assert all(np.allclose(one.weights[k], other.weights[k], atol=1e-5) for k in one.weights) and abs(one.shift - other.shift) < 1e-3
+    taken = []
+    t = T.tokens(T._as_block([texts[i] for i in range(50)]), spec)
+    old = T.laid
+    T.laid = lambda t, at, s: taken.extend(at.tolist()) or old(t, at, s)
+    try:
+        T.gone_through(T.initial(spec), t, np.array([r[2] for r in rows[:50]]), np.arange(50), 2, np.random.default_rng(0), spec)
+    finally:
+        T.laid = old
+    assert sorted(taken) == sorted([*range(50)] * 2)
